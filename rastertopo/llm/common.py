@@ -76,3 +76,14 @@ class KeyFilter:
             .filter(hit)
             .drop("_map", "_bits", "_bit", "_byte")
         )
+
+
+#: Rows that a Python task holds as Python objects at once.
+SLICE_ROWS = 256
+
+
+def slices(batches):
+    """Arrow batches cut small, so that few texts are Python objects at a time."""
+    for batch in batches:
+        for start in range(0, batch.num_rows, SLICE_ROWS):
+            yield batch.slice(start, SLICE_ROWS)
