@@ -7,6 +7,8 @@ from pyspark.sql import DataFrame, SparkSession
 from .common import table
 from .exact_dedup import exact_duplicates
 from .html_text import extract
+from .mixing import MIX_SQL, mix
+from .warc import WARC_SQL, round_trip
 from .winnowing import edited_fingerprints
 
 
@@ -31,13 +33,23 @@ def op9_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
     return extract(table(spark, sf_dir, "pages"))
 
 
+def op7_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mix(table(spark, sf_dir, "documents")).drop("source")
+
+
+def op8_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return round_trip(table(spark, sf_dir, "pages"))
+
+
 def queries() -> dict:
     return {
         "op1_exact_dedup": op1_exact_dedup,
         "op4_winnowing": op4_winnowing,
+        "op7_mixing": op7_mixing,
+        "op8_warc": op8_warc,
         "op9_html_text": op9_html_text,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_exact_dedup": OP1_SQL}
+    return {"op1_exact_dedup": OP1_SQL, "op7_mixing": MIX_SQL, "op8_warc": WARC_SQL}
