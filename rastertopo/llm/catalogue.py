@@ -8,6 +8,7 @@ from .common import table
 from .exact_dedup import exact_duplicates
 from .html_text import extract
 from .mixing import MIX_SQL, mix
+from .toxicity import scores
 from .warc import WARC_SQL, round_trip
 from .winnowing import edited_fingerprints
 
@@ -25,6 +26,10 @@ FROM documents
 """
 
 
+def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return scores(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op4_winnowing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return edited_fingerprints(table(spark, sf_dir, "documents"))
 
@@ -44,6 +49,7 @@ def op8_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
 def queries() -> dict:
     return {
         "op1_exact_dedup": op1_exact_dedup,
+        "op2_toxicity": op2_toxicity,
         "op4_winnowing": op4_winnowing,
         "op7_mixing": op7_mixing,
         "op8_warc": op8_warc,
