@@ -21,6 +21,7 @@ import zlib
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType, StructField, StructType
 
 from .common import slices
 
@@ -154,7 +155,7 @@ def score(docs: DataFrame, model: tuple[np.ndarray, float], column: str = "score
     weights, bias = model
     shipped = docs.sparkSession.sparkContext.broadcast((weights.astype(np.float32), bias))
     place = docs.columns.index("text")
-    schema = docs.schema.add(column, "double")
+    schema = StructType([*docs.schema.fields, StructField(column, DoubleType())])
 
     def task(batches):
         import pyarrow as pa
