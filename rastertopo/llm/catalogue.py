@@ -8,6 +8,7 @@ from .common import table
 from .exact_dedup import exact_duplicates
 from .html_text import extract
 from .mixing import MIX_SQL, mix
+from .pieces import tokens
 from .toxicity import scores
 from .warc import WARC_SQL, round_trip
 from .winnowing import edited_fingerprints
@@ -38,6 +39,10 @@ def op9_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
     return extract(table(spark, sf_dir, "pages"))
 
 
+def op5_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return tokens(table(spark, sf_dir, "documents"))
+
+
 def op7_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix(table(spark, sf_dir, "documents")).drop("source")
 
@@ -51,6 +56,7 @@ def queries() -> dict:
         "op1_exact_dedup": op1_exact_dedup,
         "op2_toxicity": op2_toxicity,
         "op4_winnowing": op4_winnowing,
+        "op5_pieces": op5_pieces,
         "op7_mixing": op7_mixing,
         "op8_warc": op8_warc,
         "op9_html_text": op9_html_text,
