@@ -7,6 +7,7 @@ from pyspark.sql import DataFrame, SparkSession
 from .common import table
 from .exact_dedup import exact_duplicates
 from .html_text import extract
+from .line_dedup import line_deduplicated
 from .mixing import MIX_SQL, mix
 from .pieces import tokens
 from .toxicity import scores
@@ -51,6 +52,10 @@ def op8_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return round_trip(table(spark, sf_dir, "pages"))
 
 
+def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return line_deduplicated(table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict:
     return {
         "op1_exact_dedup": op1_exact_dedup,
@@ -60,6 +65,7 @@ def queries() -> dict:
         "op7_mixing": op7_mixing,
         "op8_warc": op8_warc,
         "op9_html_text": op9_html_text,
+        "op10_line_dedup": op10_line_dedup,
     }
 
 

@@ -64,16 +64,20 @@ class KeyFilter:
 
     def prune(self, rows: DataFrame, key: str) -> DataFrame:
         """The rows whose key may be among the filter's keys."""
+        return self.flag(rows, key, "_hit").filter("_hit").drop("_hit")
+
+    def flag(self, rows: DataFrame, key: str, column: str) -> DataFrame:
+        """Adds ``column``: whether the key may be among the filter's keys."""
         place = self._place(F.col(key))
         bit = F.pmod(place, F.lit(BITMAP_BITS))
         byte = F.conv(F.hex(F.substr(F.col("_bits"), (bit / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("int")
-        hit = F.expr("shiftright(_byte, cast(pmod(_bit, 8) as int)) & 1") == 1
+        hit = F.coalesce(F.expr("shiftright(_byte, cast(pmod(_bit, 8) as int)) & 1") == 1, F.lit(False))
         return (
             rows.withColumn("_map", (place / BITMAP_BITS).cast("long"))
-            .join(F.broadcast(self.maps), "_map")
+            .join(F.broadcast(self.maps), "_map", "left")
             .withColumn("_bit", bit)
             .withColumn("_byte", byte)
-            .filter(hit)
+            .withColumn(column, hit)
             .drop("_map", "_bits", "_bit", "_byte")
         )
 
