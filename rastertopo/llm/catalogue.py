@@ -9,7 +9,9 @@ from .exact_dedup import exact_duplicates
 from .html_text import extract
 from .line_dedup import line_deduplicated
 from .mixing import MIX_SQL, mix
+from .near_dedup import near_classes
 from .pieces import tokens
+from .tool_calls import CHAT_SQL, format_chats
 from .toxicity import scores
 from .warc import WARC_SQL, round_trip
 from .winnowing import edited_fingerprints
@@ -32,6 +34,17 @@ def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scores(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
+#: Schemas of the tools that conversations may call.
+TOOLS = {
+    "search": {"type": "object", "properties": {"query": {"type": "string", "minLength": 1}, "limit": {"type": "integer", "minimum": 1}}, "required": ["query"], "additionalProperties": False},
+    "calculate": {"type": "object", "properties": {"expression": {"type": "string"}}, "required": ["expression"], "additionalProperties": False},
+}
+
+
+def op3_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return format_chats(table(spark, sf_dir, "conversations"), TOOLS).drop("errors")
+
+
 def op4_winnowing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return edited_fingerprints(table(spark, sf_dir, "documents"))
 
@@ -44,6 +57,10 @@ def op5_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tokens(table(spark, sf_dir, "documents"))
 
 
+def op6_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_classes(table(spark, sf_dir, "documents")).drop("sha")
+
+
 def op7_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix(table(spark, sf_dir, "documents")).drop("source")
 
@@ -60,8 +77,10 @@ def queries() -> dict:
     return {
         "op1_exact_dedup": op1_exact_dedup,
         "op2_toxicity": op2_toxicity,
+        "op3_chat_formatting": op3_chat_formatting,
         "op4_winnowing": op4_winnowing,
         "op5_pieces": op5_pieces,
+        "op6_near_dedup": op6_near_dedup,
         "op7_mixing": op7_mixing,
         "op8_warc": op8_warc,
         "op9_html_text": op9_html_text,
@@ -70,4 +89,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_exact_dedup": OP1_SQL, "op7_mixing": MIX_SQL, "op8_warc": WARC_SQL}
+    return {"op1_exact_dedup": OP1_SQL, "op3_chat_formatting": CHAT_SQL, "op7_mixing": MIX_SQL, "op8_warc": WARC_SQL}
