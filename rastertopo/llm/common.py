@@ -91,3 +91,11 @@ def slices(batches):
     for batch in batches:
         for start in range(0, batch.num_rows, SLICE_ROWS):
             yield batch.slice(start, SLICE_ROWS)
+
+
+def worker_state() -> dict:
+    """What a Python worker keeps from task to task (caches only; a new worker starts empty)."""
+    import sys
+    import types
+
+    return sys.modules.setdefault("_corpus_worker_state", types.ModuleType("_corpus_worker_state")).__dict__

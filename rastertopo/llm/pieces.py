@@ -20,22 +20,24 @@ columns stay, and those named like a result are replaced.
 
 from __future__ import annotations
 
+import hashlib
 import re
 import struct
+from itertools import chain
 from math import inf
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import ArrayType, BooleanType, IntegerType, StringType, StructField, StructType
 
-from .common import slices
+from .common import slices, worker_state
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 BLANK = "▁"
 NORMAL, UNKNOWN, CONTROL, USER, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
 UNIGRAM, BPE = 1, 2
 UNKNOWN_SURFACE = " ⁇ "
-CACHED_PARTS, LONGEST_CACHED = 300_000, 48
+CACHED_PARTS, LONGEST_CACHED, CACHED_PAIRS = 300_000, 48, 500_000
 
 
 def _fields(data: bytes):
@@ -90,6 +92,16 @@ class Normaliser:
         return text.replace(" ", BLANK) if self.escape else text
 
 
+class _Parts(dict):
+    """The cache of a model's parts; it finds what it lacks."""
+
+    def __init__(self, model: PieceModel):
+        self.model = model
+
+    def __missing__(self, part: str) -> tuple[int, ...]:
+        return self.model.part_ids(part)
+
+
 class PieceModel:
     """A compiled model; ``encode`` and ``decode`` of single texts."""
 
@@ -133,7 +145,12 @@ class PieceModel:
         line = any("\n" in p and len(p) > 1 for p in self.ids)
         self.parts = re.compile("(?s:.+)" if late else f"{BLANK}*[^{BLANK}]+|{BLANK}+" if line else f"{BLANK}*[^{BLANK}\n]+|{BLANK}+|\n")
         self.follows: dict[int, bool] = {}
-        self.cache: dict[str, tuple[int, ...]] = {}
+        self.cache = _Parts(self)
+        # What a token alone decodes to; none where its neighbours matter.
+        self.surface: list[str | None] = [p.replace(BLANK, " ") if k not in (CONTROL, UNKNOWN, BYTE) else None for p, k in zip(self.pieces, self.kinds)]
+        for i, b in self.byte_of.items():
+            if b < 128:
+                self.surface[i] = chr(b)
 
     def merged(self, text: str) -> list[str]:
         """The characters of ``text`` merged by rank: the best scored pair first, of equal ones the leftmost."""
@@ -157,59 +174,100 @@ class PieceModel:
 
     def shortest(self, part: str) -> tuple[int, ...]:
         """Piece ids of the shortest path over a normalised part; unknown characters are -1 - their place."""
+        return self._only_path(part) if self.kind == BPE else self._cheapest_path(part)
+
+    def _arcs(self, part: str, i: int) -> list[tuple[int, int, float]]:
+        """The arcs that leave place i, shortest first: (place after, piece, weight)."""
+        node, arcs = self.trie, []
+        for j in range(i, len(part)):
+            node = node.get(part[j])
+            if node is None:
+                break
+            arc = node.get("")
+            if arc is not None:
+                arcs.append((j + 1, *arc))
+        if not arcs or arcs[0][0] != i + 1:
+            arcs.insert(0, (i + 1, -1 - i, self.unknown_cost))
+        return arcs
+
+    def _cheapest_path(self, part: str) -> tuple[int, ...]:
         n = len(part)
         cost, last, back = [inf] * (n + 1), [-1] * (n + 1), [0] * (n + 1)
         cost[0] = 0.0
-        bpe, follows, trie = self.kind == BPE, self.follows, self.trie
         for i in range(n):
-            before, here = last[i], cost[i]
-            node, j = trie, i
-            known = False
-            while j < n and (node := node.get(part[j])) is not None:
-                j += 1
-                arc = node.get("")
-                if arc is None:
-                    continue
-                piece, weight = arc
-                known = known or j == i + 1
-                if bpe:
-                    if last[j] >= 0 and back[j] != j:
-                        continue
-                    if before >= 0 and i:
-                        ok = follows.get(before << 20 | piece)
-                        if not (self.may_follow(before, piece) if ok is None else ok):
-                            continue
+            here = cost[i]
+            for j, piece, weight in self._arcs(part, i):
+                if here + weight < cost[j]:
                     cost[j], last[j], back[j] = here + weight, piece, i
-                elif here + weight < cost[j]:
-                    cost[j], last[j], back[j] = here + weight, piece, i
-            if not known and (cost[i + 1] == inf if bpe else here + self.unknown_cost < cost[i + 1]):
-                cost[i + 1], last[i + 1], back[i + 1] = here + self.unknown_cost, -1 - i, i
         path, j = [], n
         while j:
             path.append(last[j])
             j = back[j]
         return tuple(reversed(path))
 
+    def _only_path(self, part: str) -> tuple[int, ...]:
+        """The one path of finite weight, searched depth first along the longest arcs. The finite path to a place is
+        unique, so a place from which the end can't be reached is left for good."""
+        n, trie, follows = len(part), self.trie, self.follows
+        path, places, pending, dead = [], [0], [], set()
+        i, before = 0, -1
+        while i < n:
+            node, arcs = trie, []
+            for j in range(i, n):
+                node = node.get(part[j])
+                if node is None:
+                    break
+                arc = node.get("")
+                if arc is not None:
+                    arcs.append((j + 1, arc[0]))
+            if not arcs or arcs[0][0] != i + 1:
+                arcs.insert(0, (i + 1, -1 - i))
+            while True:
+                end = 0
+                while arcs:
+                    end, piece = arcs.pop()
+                    if end in dead:
+                        end = 0
+                        continue
+                    if before < 0 or piece < 0:
+                        break
+                    ok = follows.get(before << 20 | piece)
+                    if self.may_follow(before, piece) if ok is None else ok:
+                        break
+                    end = 0
+                if end:
+                    break
+                dead.add(i)
+                path.pop()
+                places.pop()
+                arcs = pending.pop()
+                i, before = places[-1], path[-1] if path else -1
+            pending.append(arcs)
+            path.append(piece)
+            places.append(end)
+            i, before = end, piece
+        return tuple(path)
+
     def part_ids(self, part: str) -> tuple[int, ...]:
-        found = self.cache.get(part)
-        if found is not None:
-            return found
-        if len(self.follows) > 4_000_000:
+        """The ids of a part that isn't cached."""
+        if len(self.follows) > CACHED_PAIRS:
             self.follows.clear()
-        out: list[int] = []
-        for i in self.shortest(part):
-            if i >= 0:
-                out.append(i)
-            elif self.bytes:
-                out += [self.bytes[b] for b in part[-1 - i].encode("utf-8", "surrogatepass")]
-            else:
-                out.append(self.unknown)
-        found = tuple(out)
+        path = self.shortest(part)
+        if min(path) < 0:
+            out: list[int] = []
+            for i in path:
+                if i >= 0:
+                    out.append(i)
+                elif self.bytes:
+                    out += [self.bytes[b] for b in part[-1 - i].encode("utf-8", "surrogatepass")]
+                else:
+                    out.append(self.unknown)
+            path = tuple(out)
         if len(part) <= LONGEST_CACHED:
             if len(self.cache) >= CACHED_PARTS:
                 self.cache.clear()
-            self.cache[part] = found
-        return found
+            self.cache[part] = path
+        return path
 
     def encode(self, text: str | None) -> list[int]:
         normal = self.normalise(text) if text else ""
@@ -217,10 +275,8 @@ class PieceModel:
         for k, piece in enumerate(self.users.split(normal) if self.users else (normal,)):
             if k % 2:
                 out.append(self.ids[piece])
-                continue
-            get = self.cache.get
-            for part in self.parts.findall(piece):
-                out += get(part) or self.part_ids(part)
+            else:
+                out.extend(chain.from_iterable(map(self.cache.__getitem__, self.parts.findall(piece))))
         if not self.bytes:  # unknown characters in a row are one token
             out = [i for k, i in enumerate(out) if i != self.unknown or k == 0 or out[k - 1] != self.unknown]
         return out
@@ -228,10 +284,9 @@ class PieceModel:
     def decode(self, ids) -> str:
         if ids is None or len(ids) == 0:
             return ""
-        pieces, kinds = self.pieces, self.kinds
-        plain = [pieces[i] if kinds[i] != BYTE else None for i in ids]
-        if None in plain or any(kinds[i] in (CONTROL, UNKNOWN) for i in set(ids)):
-            text, raw = [], bytearray()
+        text = list(map(self.surface.__getitem__, ids))
+        if None in text:
+            pieces, kinds, raw, text = self.pieces, self.kinds, bytearray(), []
             for i in ids:
                 if kinds[i] == BYTE:
                     raw.append(self.byte_of[i])
@@ -239,11 +294,9 @@ class PieceModel:
                 if raw:
                     text.append(raw.decode("utf-8", "replace"))
                     raw = bytearray()
-                text.append("" if kinds[i] == CONTROL else UNKNOWN_SURFACE if kinds[i] == UNKNOWN else pieces[i])
+                text.append("" if kinds[i] == CONTROL else UNKNOWN_SURFACE if kinds[i] == UNKNOWN else pieces[i].replace(BLANK, " "))
             text.append(raw.decode("utf-8", "replace"))
-        else:
-            text = plain
-        out = "".join(text).replace(BLANK, " ")
+        out = "".join(text)
         return out[1:] if self.normalise.dummy_prefix and out.startswith(" ") else out
 
 
@@ -253,6 +306,14 @@ def read_model(path: str = MODEL) -> bytes:
         return file.read()
 
 
+def _compiled(data: bytes) -> PieceModel:
+    """The compiled model of this worker, with what it has cached in earlier tasks."""
+    state, key = worker_state(), f"pieces-{hashlib.sha256(data).hexdigest()}"
+    if key not in state:
+        state[key] = PieceModel(data)
+    return state[key]
+
+
 def _append(batch, names: list[str], arrays: list):
     import pyarrow as pa
 
@@ -275,7 +336,7 @@ def encode(docs: DataFrame, text_col: str = "text", model: bytes | None = None,
         import numpy as np
         import pyarrow as pa
 
-        machine = PieceModel(shipped.value)
+        machine = _compiled(shipped.value)
         for batch in slices(batches):
             texts = batch.column(source).to_pylist()
             ids = [machine.encode(x) for x in texts]
@@ -301,7 +362,7 @@ def decode(rows: DataFrame, ids_col: str = "ids", model: bytes | None = None) ->
     def task(batches):
         import pyarrow as pa
 
-        machine = PieceModel(shipped.value)
+        machine = _compiled(shipped.value)
         for batch in slices(batches):
             yield _append(batch, ["decoded"], [pa.array([machine.decode(x) for x in batch.column(source).to_pylist()], pa.string())])
 
