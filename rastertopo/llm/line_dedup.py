@@ -19,7 +19,6 @@ import hashlib
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.types import ArrayType, IntegerType, StructField, StructType
 
 from .common import KeyFilter, slices, written
 
@@ -99,7 +98,7 @@ def repeated_lines(docs: DataFrame, digest_bytes: int = DIGEST_BYTES) -> DataFra
     mixed = written(hits.groupBy("digest").agg(F.min("piece").alias("low"), F.max("piece").alias("high")).filter("low <> high").select("digest"), "line-mixed")
     light = found.drop("piece")
     if mixed.isEmpty():
-        later = light.join(repeated, "digest")
+        later = light.join(repeated.hint("merge"), "digest")
     else:
         # Rare: a digest of several pieces. Its chunks are grouped by their bytes.
         told = found.join(mixed, "digest", "left_semi")
@@ -117,33 +116,13 @@ def drop_repeated(docs: DataFrame, digest_bytes: int = DIGEST_BYTES) -> DataFram
     rows = docs.withColumn("_twin", F.xxhash64("text")).withColumn("_key", F.xxhash64(F.col("doc_id").cast("long"), F.col("_twin")))
     rows = KeyFilter(lines.withColumn("_key", key), "_key").flag(rows, "_key", "_may")
     drops = lines.select(F.col("doc_id").alias("_doc"), F.col("twin").alias("_other"), F.col("drop").alias("removed"))
-    touched = rows.filter("_may").join(drops, F.col("doc_id").cast("long").eqNullSafe(F.col("_doc")) & (F.col("_twin") == F.col("_other")), "left")
-    columns = docs.columns
-    text = columns.index("text")
-    spans = ArrayType(StructType([StructField("first", IntegerType()), StructField("after", IntegerType())]))
-    schema = StructType([*docs.schema.fields, StructField("removed", spans)])
-
-    def task(batches):
-        import pyarrow as pa
-
-        for batch in slices(batches):
-            out = []
-            for value, gone in zip(batch.column(text).to_pylist(), batch.column(len(columns)).to_pylist()):
-                if gone:
-                    parts, at = value.split("\n"), 0
-                    kept: list[str] = []
-                    for span in gone:
-                        kept += parts[at : span["first"]]
-                        at = span["after"]
-                    value = "\n".join(kept + parts[at:])
-                out.append(value)
-            arrays = batch.columns
-            arrays[text] = pa.array(out, pa.string())
-            yield pa.RecordBatch.from_arrays(arrays, names=batch.schema.names)
-
-    cut = touched.select(*[F.col(f"`{c}`") for c in columns], "removed").mapInArrow(task, schema)
-    same = rows.filter(~F.col("_may")).select(*[F.col(f"`{c}`") for c in columns], F.lit(None).cast(spans).alias("removed"))
-    return same.unionByName(cut)
+    # The drops grow with the input, so they are never broadcast.
+    touched = rows.filter("_may").join(drops.hint("merge"), F.col("doc_id").cast("long").eqNullSafe(F.col("_doc")) & (F.col("_twin") == F.col("_other")), "left")
+    kept = F.filter(F.split("text", "\n", -1), lambda _, i: ~F.exists("removed", lambda s: (i >= s["first"]) & (i < s["after"])))
+    text = F.when(F.col("removed").isNull(), F.col("text")).otherwise(F.array_join(kept, "\n")).alias("text")
+    others = [F.col(f"`{c}`") if c != "text" else text for c in docs.columns]
+    same = rows.filter(~F.col("_may")).withColumn("removed", F.lit(None).cast(touched.schema["removed"].dataType))
+    return same.select(*[F.col(f"`{c}`") for c in docs.columns], "removed").unionByName(touched.select(*others, "removed"))
 
 
 def line_deduplicated(docs: DataFrame) -> DataFrame:
