@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 from ..functions import gray as G
 from ..functions import kernels as K
 from .blocks import CELLS, cell_table, per_image, raster
+from ..plans.lineage import saved
 from .layout import KEY, with_halo
 from .topology import is_simple, neighbourhood_mask
 
@@ -168,8 +169,8 @@ def zone_thin(px: DataFrame, radius: int | None = None, conn: str = "8/4", half_
 def thin_tiles(px: DataFrame, keep: DataFrame | None = None, conn: str = "8/4", side: int = 1024, save=None) -> DataFrame:
     """Thinning of images of any size. Tiles of a colour are ``side`` apart, so their borders never work at once.
 
-    State: dense pixels with obj and keep. ``save`` cuts the lineage of a super-step (default: checkpoint)."""
-    save = save or (lambda df: df.checkpoint())
+    State: dense pixels with obj and keep. ``save`` cuts the lineage of a super-step (default: a table in the checkpoint folder)."""
+    save = save or saved
     state = with_constraints(px, keep).select(*KEY, "obj", F.col("in_c").alias("keep")).withColumn("changed", F.lit(True))
     schema = CELLS + ", obj boolean, keep boolean, changed boolean"
 

@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.lut import EDGES, OFFSETS, PAIRS, dual, numbers, simple
+from ..plans.lineage import saved
 from .layout import KEY, to_runs
 
 
@@ -94,8 +95,8 @@ def components(pt: DataFrame, n: int = 8, save=None) -> DataFrame:
     """n-components of points of any size: image_id, row, c0, c1, comp (least row * 2**31 + column of the component).
 
     Runs are the nodes; the least label spreads over touching runs and jumps along labels. ``save`` cuts the lineage of
-    each round (default: checkpoint in the session's checkpoint folder)."""
-    save = save or (lambda df: df.checkpoint())
+    each round (default: a table in the checkpoint folder)."""
+    save = save or saved
     code = lambda r, c: F.col(r).cast("long") * (1 << 31) + F.col(c)
     runs = to_runs(pt).withColumn("run", code("row", "c0"))
     touch = run_adjacency(pt, n).select("image_id", code("row", "c0").alias("a"), ((F.col("row") + 1).cast("long") * (1 << 31) + F.col("next_c0")).alias("b"))

@@ -3,15 +3,23 @@
 from __future__ import annotations
 
 import tempfile
+import uuid
 
 from pyspark.sql import DataFrame
 
 
 def saved(df: DataFrame) -> DataFrame:
-    """A reliable checkpoint in the folder that the cluster names; a temporary folder only in a local session without one."""
-    context = df.sparkSession.sparkContext
-    if not (context.getConf().get("spark.checkpoint.dir") or context.getCheckpointDir()):
-        if not context.master.startswith("local["):
+    """``df`` written as Parquet to the folder that the cluster names for checkpoints, and read again.
+
+    A file has a size; the estimate of a checkpointed plan would grow with each join of a loop. Only a local session
+    without such a folder takes a temporary one."""
+    spark = df.sparkSession
+    path = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.sparkContext.getCheckpointDir()
+    if not path:
+        if not spark.sparkContext.master.startswith("local["):
             raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
-        context.setCheckpointDir(tempfile.mkdtemp(prefix="raster-checkpoints-"))
-    return df.checkpoint()
+        path = tempfile.mkdtemp(prefix="raster-checkpoints-")
+        spark.sparkContext.setCheckpointDir(path)
+    path = f"{path.rstrip('/')}/raster-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return spark.read.schema(df.schema).parquet(path)
