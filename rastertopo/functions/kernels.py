@@ -6,6 +6,7 @@ stands for no feature at all. Kernels that count their work add to a ``Work`` ob
 
 from __future__ import annotations
 
+import time
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -28,6 +29,9 @@ class Work:
     queue_high: int = 0
     seconds: dict = field(default_factory=dict)
 
+    def timed(self, phase: str, began: float) -> None:
+        self.seconds[phase] = self.seconds.get(phase, 0.0) + time.perf_counter() - began
+
 
 _TABLES: dict[str, np.ndarray] = {}
 
@@ -280,10 +284,12 @@ def thin(image: np.ndarray, keep: np.ndarray | None, priority: np.ndarray, conn:
     ok = np.zeros(h * w, bool)
 
     def test(at: np.ndarray) -> None:
-        if work:
-            work.characterised += len(at)
+        began = time.perf_counter()
         m = (flat[at[:, None] + shifts] * weights).sum(1, dtype=np.uint8)
         ok[at] = table[m]
+        if work:
+            work.characterised += len(at)
+            work.timed("characterise", began)
 
     test(places)
     # Levels in order; a level's heap entry is found anew each time, as lower levels may come back.
@@ -337,26 +343,29 @@ def union_keep(*parts) -> np.ndarray | None:
     return out
 
 
+def measured_distance(features: np.ndarray, radius: int, work: Work | None) -> np.ndarray:
+    began = time.perf_counter()
+    out = capped_distance(features, radius)
+    if work:
+        work.distance_pixels += features.size
+        work.timed("distance", began)
+    return out
+
+
 def cut(image: np.ndarray, n: int, c: np.ndarray | None = None, conn: str = "8/4", work: Work | None = None) -> np.ndarray:
     """Homotopic cutting of radius n: thin to the erosion (and C), then thicken within the dilation, inside the image."""
-    inner = capped_distance(~image, n)
-    if work:
-        work.distance_pixels += image.size
+    inner = measured_distance(~image, n, work)
     y = thin(image, union_keep(inner == FAR, c), inner, conn, None, work)
-    outer = capped_distance(y, n)
-    if work:
-        work.distance_pixels += image.size
+    outer = measured_distance(y, n, work)
     return thicken(y, (outer < FAR) & image & ~y, outer, conn, None, work)
 
 
 def fill(image: np.ndarray, n: int, d: np.ndarray | None = None, conn: str = "8/4", work: Work | None = None) -> np.ndarray:
     """Homotopic filling of radius n: thicken to the dilation (without D), then thin to the erosion and the image."""
-    outer = capped_distance(image, n)
+    outer = measured_distance(image, n, work)
     allow = (outer < FAR) & ~image
     z = thicken(image, allow & ~d if d is not None else allow, outer, conn, None, work)
-    inner = capped_distance(~z, n)
-    if work:
-        work.distance_pixels += 2 * image.size
+    inner = measured_distance(~z, n, work)
     return thin(z, (inner == FAR) | image, inner, conn, None, work)
 
 
