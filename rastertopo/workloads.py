@@ -62,7 +62,7 @@ def smooth_texts(docs: DataFrame, n: int, conn: str = "8/4", operate: str = "fil
 
 def distributed(docs: DataFrame, schedule: DataFrame, processors: int) -> DataFrame:
     """The documents dealt as a schedule says: one partition for each processor, which runs its tasks to completion."""
-    return docs.join(F.broadcast(schedule.select(F.col("task_id").alias("doc_id"), "proc_id")), "doc_id").repartitionById(processors, "proc_id")
+    return docs.join(schedule.select(F.col("task_id").alias("doc_id"), "proc_id"), "doc_id").repartitionById(processors, "proc_id")
 
 
 def image_of(spark: SparkSession, pt: DataFrame) -> np.ndarray:
