@@ -92,7 +92,7 @@ def cache_sweep(trace: DataFrame, geometries: list[tuple[int, int, int]]) -> Dat
 def band_trace(pt: DataFrame, schedule: DataFrame, zone_rows: int, width: int) -> DataFrame:
     """An address trace: processors take turns, each walks the object cells of its zones row by row and reads the rows
     above, at and below; it writes the row itself. ``schedule``: task_id (zone), proc_id, wave."""
-    at = pt.withColumn("task_id", F.floor(F.col("row") / zone_rows).cast("long")).join(F.broadcast(schedule.select("task_id", "proc_id", "wave")), "task_id")
+    at = pt.withColumn("task_id", F.floor(F.col("row") / zone_rows).cast("long")).join(schedule.select("task_id", "proc_id", "wave"), "task_id")
     turn = F.row_number().over(Window.partitionBy("proc_id").orderBy("wave", "row", "col"))
     at = at.withColumn("turn", turn)
     touch = F.explode(F.array(*[F.struct(F.lit(k).alias("k"), F.lit(d).alias("d"), F.lit(kind).alias("kind")) for k, (d, kind) in enumerate(((-1, "read"), (0, "read"), (1, "read"), (0, "write")))]))

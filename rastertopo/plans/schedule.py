@@ -66,7 +66,7 @@ def by_priority(tasks: DataFrame, processors: int) -> DataFrame:
     counts = tasks.groupBy("priority").count()
     above = counts.select("priority", F.coalesce(F.sum("count").over(Window.orderBy(F.col("priority").desc()).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("before"))
     k = F.col("before") + F.row_number().over(order) - 1
-    ranked = tasks.join(F.broadcast(above), "priority").withColumn("k", k)
+    ranked = tasks.join(above, "priority").withColumn("k", k)
     return ranked.select("task_id", "cost", "priority", F.pmod("k", F.lit(processors)).cast("int").alias("proc_id"), F.floor(F.col("k") / processors).cast("long").alias("wave"))
 
 
