@@ -1,0 +1,455 @@
+"""Each corpus operator against brute force, a library or an exact round trip, with nulls, empties, ties and empty tables."""
+
+import base64
+import hashlib
+import json
+import random
+from collections import Counter, defaultdict
+
+import numpy as np
+import pytest
+from pyspark.sql import functions as F
+
+from rastertopo.llm import exact_dedup, html_text, line_dedup, mixing, near_dedup, pieces, tool_calls, toxicity, warc, winnowing
+
+DOCS = "doc_id long, text string, lang string, source string, n_chars long, digest string"
+LONG = " ".join(f"w{i}" for i in range(3000))
+
+
+@pytest.fixture(scope="module")
+def docs(spark):
+    """Nulls in every column, empty and long texts, ties, repeated rows, a column whose name operators use themselves."""
+    rows = [
+        (1, "alpha beta gamma", "en", "a", 16, "x"), (2, "alpha beta gamma", "en", "b", 16, None), (3, None, None, None, None, None), (4, "", "en", "a", 0, "y"),
+        (5, LONG, "en", "a", len(LONG), "z"), (6, LONG, "en", None, len(LONG), "z"), (6, LONG, "en", None, len(LONG), "z"), (7, "é ü\tß\n漢字 😀", "de", "b", 9, "q"),
+        (8, "alpha", "en", "c", 5, "q"), (None, "alpha beta gamma", "en", "a", 16, "q"), (9, " ".join(LONG.split()[:2900] + ["new"] * 60), "en", "b", 1, "q"),
+    ]
+    return spark.createDataFrame(rows, DOCS)
+
+
+@pytest.fixture(scope="module")
+def none(docs):
+    return docs.limit(0)
+
+
+# ---- 1: exact dedup ----
+
+
+@pytest.mark.parametrize("keep,digest_bytes", [("largest", 32), ("smallest", 32), ("largest", 0), ("smallest", 1)])
+def test_exact_dedup(docs, keep, digest_bytes):
+    """A short digest makes different texts meet, so the bytes must tell them apart."""
+    groups = defaultdict(list)
+    for r in docs.collect():
+        groups[r.text or ""].append(r.doc_id)
+    got = sorted(exact_dedup.exact_duplicates(docs, keep=keep, digest_bytes=digest_bytes).collect(), key=str)
+    want = []
+    for text, ids in groups.items():
+        known = [i for i in ids if i is not None]
+        first = (max if keep == "largest" else min)(known)
+        want += [(i, first, len(ids), i == first, hashlib.sha256(text.encode()).hexdigest()) for i in ids]
+    assert sorted(map(str, map(tuple, got))) == sorted(map(str, want))
+
+
+def test_index_grows_by_runs(docs):
+    index = exact_dedup.DigestIndex(docs.sparkSession)
+    index.flush(docs.filter("doc_id < 5"))
+    one = index.compact().count()
+    index.flush(docs.filter("doc_id >= 5"))
+    assert index.compact().count() > one
+    assert index.compact().agg(F.sum("group_size")).first()[0] == 10
+
+
+# ---- 2: toxicity ----
+
+
+def labelled_texts(n=400, seed=1):
+    rng = random.Random(seed)
+    plain = ["".join(rng.choice("bcdfgklmn") + rng.choice("aeiou") for _ in range(3)) for _ in range(200)]
+    texts, labels = [], []
+    for i in range(n):
+        words = [rng.choice(plain) for _ in range(rng.randint(10, 80))]
+        if i % 5 == 0:
+            for _ in range(1 + len(words) // 25):
+                words.insert(rng.randrange(len(words)), rng.choice(["wretched", "scoundrel", "vermin"]))
+        texts.append(" ".join(words))
+        labels.append(int(i % 5 == 0))
+    return texts, labels
+
+
+def test_toxicity_held_out_accuracy():
+    model = toxicity.fit(*labelled_texts())
+    scorer = toxicity.Scorer(*model)
+    texts, labels = labelled_texts(seed=2)
+    found = [scorer.score(t) >= 0.5 for t in texts]
+    assert np.mean(np.array(found) == labels) > 0.97
+    # Misspellings were never seen; they share subwords.
+    assert scorer["scoundrell"] > 0 and scorer["wretchedd"] > 0 and abs(scorer["zzzz"]) < scorer["vermin"] / 10
+
+
+def test_toxicity_without_two_classes():
+    assert toxicity.Scorer(*toxicity.fit([], [])).score("x") < 1e-6
+    assert toxicity.Scorer(*toxicity.fit(["a b"], [1])).score(None) > 0.999
+    assert toxicity.Scorer(*toxicity.fit(["a b", "c"], [0, 1])).score("") == pytest.approx(0.5, abs=0.5)
+
+
+def test_toxicity_rows(spark, docs, none):
+    labels = spark.createDataFrame([(i, i % 2, None if i == 4 else i % 2) for i in range(12)] + [(None, 1, 1), (1, 0, 1)], "doc_id long, quality int, toxic int")
+    got = toxicity.scores(docs, labels)
+    assert got.count() == docs.count() and got.filter("score IS NULL OR score < 0 OR score > 1 OR predicted <> int(score >= 0.5)").isEmpty()
+    assert toxicity.scores(none, labels).isEmpty() and toxicity.scores(docs, labels.limit(0)).count() == docs.count()
+
+
+# ---- 3: chat formatting ----
+
+SCHEMAS = {"find": {"type": "object", "properties": {"q": {"type": "string"}, "n": {"type": "integer", "minimum": 1}}, "required": ["q"], "additionalProperties": False}}
+
+
+def test_calls_are_linked_ordered_and_validated(spark):
+    j = json.dumps
+    rows = [
+        (1, 0, "user", "hi {"),
+        (1, 1, "assistant", j({"content": "c", "tool_calls": [{"id": "a", "name": "find", "arguments": {"q": "x", "n": 1.0}}, {"id": "b", "name": "find", "arguments": {"q": "$a"}}, {"id": "z", "name": "no", "arguments": {}}]})),
+        (1, 2, "tool", j({"tool_call_id": "b", "content": 1.5})), (1, 3, "tool", j({"tool_call_id": "a", "content": {"z": 1, "a": [1, 2]}})), (1, 4, "tool", j({"tool_call_id": "q"})),
+        (2, 0, "assistant", j({"tool_calls": [{"id": "a", "name": "find", "arguments": {}, "after": ["b"]}, {"id": "b", "name": "find", "arguments": '{"q":"1"}', "after": ["a"]}]})),
+        (2, 1, "tool", j({"tool_call_id": "a"})), (2, 2, "tool", j({"tool_call_id": "b"})), (None, None, None, None), (3, 0, "assistant", "{broken"),
+    ]
+    df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
+    got = [r.asDict() for r in tool_calls.format_chats(df, SCHEMAS).orderBy("conv_id", "order_turn", "order_depth", "turn", "part").collect()]
+    one = [(r["kind"], json.loads(r["record"]).get("id"), r["linked_turn"], r["valid"]) for r in got if r["conv_id"] == 1]
+    assert one == [("message", None, None, None), ("message", None, None, None), ("call", "a", 3, True), ("call", "z", None, False), ("result", "a", 1, None), ("call", "b", 2, True), ("result", "b", 1, None), ("result", "q", None, None)]
+    assert {r["cyclic"] for r in got if r["conv_id"] == 2 and r["kind"] != "message"} == {True}
+    assert next(r for r in got if r["conv_id"] == 3)["record"] == '{"content":"{broken","conv_id":3,"kind":"message","role":"assistant","turn":0}'
+    assert any(r["conv_id"] is None for r in got)
+    assert tool_calls.format_chats(df.limit(0), SCHEMAS).isEmpty()
+
+
+def test_canonical_json():
+    assert tool_calls.canonical({"b": 1.0, "a": [True, None, "é\n", 1e21, 0.1]}) == '{"a":[true,null,"é\\n",1e+21,0.1],"b":1}'
+
+
+def test_schema_problems():
+    ok = {"q": "x", "n": 2}
+    assert tool_calls.problems(ok, SCHEMAS["find"]) == []
+    for bad in ({}, {"q": 1}, {"q": "x", "n": 0}, {"q": "x", "n": 1.5}, {"q": "x", "o": 1}, {"q": "x", "n": True}, []):
+        assert tool_calls.problems(bad, SCHEMAS["find"])
+
+
+# ---- 4: fingerprints ----
+
+
+def brute_fingerprint(spark, text, k, w):
+    """Windows over all grams: the entries of window size 1 are all grams in order."""
+    df = spark.createDataFrame([(1, text)], "doc_id long, text string")
+    grams = [(e["hash"], e["position"]) for e in winnowing.fingerprints(df, k=k, w=1).first()["entries"]]
+    out = []
+    for i in range(max(len(grams) - w + 1, 1)):
+        best = min(grams[i : i + w], key=lambda g: (g[0], -g[1]))
+        if best not in out:
+            out.append(best)
+    return out
+
+
+@pytest.mark.parametrize("text", ["", "one", "a b c d e f", "x " * 40, " ".join(random.Random(3).choices("abc", k=120))])
+def test_winnowing_windows(spark, text):
+    got = winnowing.fingerprints(spark.createDataFrame([(1, text)], "doc_id long, text string"), k=3, w=4).first()["entries"]
+    assert [(e["hash"], e["position"]) for e in got] == brute_fingerprint(spark, text, 3, 4)
+
+
+def test_winnowing_guarantee(spark):
+    """Texts that share k + w - 1 words share an entry."""
+    rng = random.Random(5)
+    shared = " ".join(f"s{i}" for i in range(winnowing.GRAM + winnowing.WINDOW - 1))
+    rows = [(i, " ".join(f"r{rng.random()}" for _ in range(rng.randint(0, 30))) + " " + shared + " " + " ".join(f"t{rng.random()}" for _ in range(rng.randint(0, 30)))) for i in range(20)]
+    found = [{e["hash"] for e in r["entries"]} for r in winnowing.fingerprints(spark.createDataFrame(rows, "doc_id long, text string")).collect()]
+    assert all(a & b for a in found for b in found)
+
+
+@pytest.mark.parametrize("stretch", [500, 2])
+def test_edited_texts(docs, none, monkeypatch, stretch):
+    monkeypatch.setattr(winnowing, "STRETCH_ROWS", stretch)
+    rows = sorted(docs.collect(), key=lambda r: (-(r.doc_id if r.doc_id is not None else -(1 << 63)), r.text or ""))
+    texts = [r.text or "" for r in rows]
+    want = []
+    for i, t in enumerate(texts):
+        cut = len(t) // 2
+        edited = t[: len(t) - cut] + texts[(i + 1) % len(texts)][:cut]
+        want.append((rows[i].doc_id, len(t), hashlib.sha256(edited.encode()).hexdigest()))
+    got = winnowing.edited_fingerprints(docs).collect()
+    assert sorted(map(str, [(r.doc_id, r.n_chars, r.edited_sha256) for r in got])) == sorted(map(str, want))
+    by_text = defaultdict(set)
+    for r in got:
+        by_text[r.n_chars, r.doc_id in (1, 2, None)].add(r.fingerprint)
+        assert 0 <= r.near_edited <= 1 and 0 <= r.near_next <= 1
+    assert len(by_text[16, True]) == 1
+    assert winnowing.edited_fingerprints(none).isEmpty()
+
+
+# ---- 5: pieces ----
+
+
+@pytest.fixture(scope="module")
+def model():
+    return pieces.PieceModel(pieces.read_model())
+
+
+ODD = ["", "a", " ", "  ", "   x", "a  b", "\n\n x\ny", " " * 17, " " * 40, "x" + " " * 35 + "y", "日本語 テキスト😀", "<s> <unk> </s>", "a\x00b", "aaaaaaaaaaaaaaaaaaa", "=====----====", "\t\tif (x==1) {\n\t\t\treturn;\n}", "1234567890 3.14"]
+
+
+def test_pieces_match_the_library(model):
+    library = pytest.importorskip("sentencepiece").SentencePieceProcessor(model_file=pieces.MODEL)
+    rng = random.Random(1)
+    texts = ODD + ["".join(rng.choice("ab el o\nthin. ,é=-_(){}") for _ in range(rng.randint(1, 60))) for _ in range(1500)]
+    for text in texts:
+        ids = model.encode(text)
+        assert ids == library.encode(text)
+        assert model.decode(ids) == library.decode(ids) == text
+
+
+def test_unigram_path_is_the_cheapest():
+    unigram = pieces.PieceModel(pieces.read_model(), kind=pieces.UNIGRAM)
+
+    def brute(text):
+        if not text:
+            return 0.0
+        options = [-unigram.scores[unigram.ids[text[:k]]] + brute(text[k:]) for k in range(1, len(text) + 1) if text[:k] in unigram.ids]
+        return min(options, default=float("inf"))
+
+    for word in ("the", "letters", "in the", "abcabc"):
+        ids = unigram.encode(word)
+        assert sum(-unigram.scores[i] for i in ids) == pytest.approx(brute(unigram.normalise(word)))
+        assert unigram.decode(ids) == word
+
+
+def test_pieces_rows(docs, none):
+    got = pieces.tokens(docs)
+    assert got.count() == docs.count() and got.filter("NOT exact").isEmpty()
+    assert got.filter("doc_id IN (3, 4) AND n_tokens <> 0").isEmpty()
+    assert pieces.tokens(none).isEmpty()
+    kept = pieces.decode(pieces.encode(docs)).filter("NOT (decoded <=> coalesce(text, ''))")
+    assert kept.isEmpty() and "digest" in pieces.encode(docs).columns
+
+
+def test_normaliser_rules():
+    n = pieces.Normaliser(strip=True, rules={"ﬁ": "fi", "ab": "x", "abc": "y"})
+    assert n("  abc  ab ﬁ ") == "▁y▁x▁fi" and n(" ") == ""
+
+
+# ---- 6: near dedup ----
+
+
+def plain_distance(a, b):
+    row = list(range(len(b) + 1))
+    for i, x in enumerate(a, 1):
+        new = [i]
+        for j, y in enumerate(b, 1):
+            new.append(min(row[j] + 1, new[-1] + 1, row[j - 1] + (x != y)))
+        row = new
+    return row[-1]
+
+
+def test_banded_alignment():
+    r = random.Random(3)
+    for _ in range(3000):
+        a = [r.choice("abcd") for _ in range(r.randint(0, 24))]
+        b = list(a)
+        for _ in range(r.randint(0, 8)):
+            kind = r.random()
+            if kind < 0.33 and b:
+                del b[r.randrange(len(b))]
+            elif kind < 0.66:
+                b.insert(r.randint(0, len(b)), r.choice("abcd"))
+            elif b:
+                b[r.randrange(len(b))] = r.choice("abcd")
+        most = r.randint(0, 12)
+        assert near_dedup.edit_distance(a, b, most) == min(plain_distance(a, b), most + 1)
+
+
+def test_order_matters_and_occurrences_count():
+    words = np.random.default_rng(1).integers(0, 1 << 62, 200, dtype=np.uint64)
+    twice = near_dedup.labelled_shingles(np.concatenate([words, words]))
+    assert len(np.unique(twice)) == len(twice)
+    m = near_dedup._multipliers(64, 11)
+    same = lambda a, b: (near_dedup.order_minhash(a, m) == near_dedup.order_minhash(b, m)).mean()
+    straight = near_dedup.labelled_shingles(words)
+    # The first occurrences hash alike whether or not the text repeats something.
+    assert np.isin(straight[:190], twice).all()
+    swapped = near_dedup.labelled_shingles(np.concatenate([words[100:], words[:100]]))
+    assert same(straight, straight) == 1 and same(straight, swapped) < 0.6
+
+
+def near_rows(n=30, seed=4):
+    rng = random.Random(seed)
+    rows, k = [], 0
+    for g in range(n):
+        base = [f"w{rng.randrange(5000)}" for _ in range(rng.randint(40, 160))]
+        for _ in range(rng.choice((1, 1, 2, 5))):
+            words = list(base)
+            for _ in range(rng.randint(0, max(1, len(words) // 60))):
+                words[rng.randrange(len(words))] = f"x{rng.randrange(10**6)}"
+            rows.append((k, " ".join(words)))
+            k += 1
+    return rows + [(k, None), (k + 1, ""), (k + 2, rows[0][1]), (k + 2, rows[0][1]), (None, rows[3][1])]
+
+
+def test_near_classes_match_brute_force(spark):
+    rows = near_rows()
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    parent = list(range(len(rows)))
+
+    def find(x):
+        while parent[x] != x:
+            x = parent[x]
+        return x
+
+    words = [(t or "").split() for _, t in rows]
+    for i in range(len(rows)):
+        for j in range(i):
+            limit = near_dedup.limit_of(max(len(words[i]), len(words[j])), 0.8)
+            if bool(words[i]) == bool(words[j]) and near_dedup.edit_distance(words[i], words[j], limit) <= limit:
+                parent[find(i)] = find(j)
+    classes = defaultdict(list)
+    for i, (doc, _) in enumerate(rows):
+        classes[find(i)].append(doc)
+    want = sorted(str((d, min(x for x in ids if x is not None), len(ids))) for ids in classes.values() for d in ids)
+    got = near_dedup.near_classes(df)
+    assert sorted(str((r.doc_id, r.class_id, r.class_size)) for r in got.collect()) == want
+    assert near_dedup.keep_one(df.filter("doc_id < 20")).count() <= 20
+    assert near_dedup.near_classes(df.limit(0)).isEmpty() and near_dedup.keep_one(df.limit(0)).isEmpty()
+
+
+# ---- 7: mixing ----
+
+
+def brute_targets(sizes, weights, epochs=3):
+    total, free = sum(sizes.values()), set(sizes)
+    while True:
+        rest = total - sum(epochs * sizes[s] for s in sizes if s not in free)
+        share = {s: rest * weights[s] / sum(weights[x] for x in free) for s in free}
+        over = {s for s in free if share[s] > epochs * sizes[s]}
+        if not over:
+            return {s: share.get(s, float(epochs * sizes[s])) for s in sizes}
+        free -= over
+
+
+def test_water_filling(spark):
+    rng = random.Random(2)
+    for _ in range(5):
+        sizes = {f"s{i}": rng.choice((0, 1, 10, 1000)) for i in range(8)} | {"t": 500}
+        weights = {s: rng.choice((1.0, 2.0, 7.5)) for s in sizes}
+        df = spark.createDataFrame([(s, sizes[s], weights[s]) for s in sizes], "source string, source_size long, weight double")
+        got = {r.source: r.target for r in mixing.water_fill(df).collect()}
+        assert got == pytest.approx(brute_targets(sizes, weights))
+        assert sum(got.values()) == pytest.approx(sum(sizes.values()))
+
+
+def test_mix(docs, none):
+    rows = mixing.mix(docs).collect()
+    assert len(rows) == docs.count() and all(0 <= r.taken <= 3 * r.size for r in rows)
+    sums, targets = Counter(), {}
+    for r in rows:
+        sums[r.source] += r.taken
+        targets[r.source] = r.target
+    assert all(abs(sums[s] - targets[s]) <= 1 for s in targets)
+    assert sorted(map(str, mixing.mix(docs.repartition(3)).collect())) == sorted(map(str, rows))
+    assert mixing.mix(none).isEmpty()
+
+
+# ---- 8: WARC ----
+
+PAGES = "page_id long, url string, html string, payload string"
+
+
+@pytest.fixture(scope="module")
+def pages(spark):
+    rows = [(1, "u", "abc", "p"), (2, "v", "abc", None), (3, None, None, "p"), (4, "w\r\nx", "", "p"), (5, "x", "é" * 5000, "p"), (6, "y", "é" * 5000, "p"), (7, "z", "solo", "p"), (7, "z", "solo", "p"), (8, "t", "a\r\n\r\nb", "p")]
+    return spark.createDataFrame(rows, PAGES)
+
+
+@pytest.mark.parametrize("least,chunk", [(0, 100), (4, 7), (0, 1 << 20)])
+def test_warc_round_trip(pages, least, chunk):
+    held = defaultdict(list)
+    rows = pages.collect()
+    for r in rows:
+        held[r.html or ""].append(r.page_id)
+    want = []
+    for r in rows:
+        body = (r.html or "").encode()
+        first = max(held[r.html or ""]) if len(body) >= least else r.page_id
+        revisit = r.page_id != first
+        want.append((r.page_id, len(body), base64.b32encode(hashlib.sha1(body).digest()).decode(), "revisit" if revisit else "response", first if revisit else None))
+    assert sorted(map(str, map(tuple, warc.round_trip(pages, least, chunk).collect()))) == sorted(map(str, want))
+
+
+def test_warc_files_and_damage(spark, pages, tmp_path):
+    path = str(tmp_path / "chunks")
+    warc.write_archive(pages, path, chunk_bytes=100)
+    files = warc.export_files(spark, path, f"file://{tmp_path}/files").collect()
+    data = b"".join(open(f.file, "rb").read() for f in files)
+    assert data.count(b"WARC/1.1\r\n") == pages.count() and sum(f.n_bytes for f in files) == len(data)
+    broken = str(tmp_path / "broken")
+    spark.read.parquet(path).withColumn("block", F.when(F.col("chunk_no") == 3, F.encode(F.lit("?"), "UTF-8")).otherwise(F.col("block"))).write.parquet(broken)
+    with pytest.raises(Exception, match="digest"):
+        warc.read_archive(spark, broken).collect()
+    assert warc.round_trip(pages.limit(0)).isEmpty()
+
+
+# ---- 9: HTML ----
+
+PARAGRAPH = "Sentence of plain words that an article holds. " * 6
+
+
+@pytest.mark.parametrize("page,want", [
+    (None, ""), ("", ""), ("plain &amp; text", "plain & text"), ("<p>a<p>b", "a b"), ("<p>un<b>bold</b>ed &lt;x&gt; <!-- c -->z", "unbolded <x> z"),
+    (f"<nav><ul><li><a href=x>Home</a></ul></nav><article><h1>T</h1><p><b>{PARAGRAPH}<br><p>two</article><footer>foot</footer>", f"T {PARAGRAPH.strip()} two"),
+    (f"<body><script>var a='<p>no</p>'</script><div class=ad>{PARAGRAPH}</div><main><p>{PARAGRAPH}</p><form><input>f</form><aside>s</aside></main>", PARAGRAPH.strip()),
+    (f"<div id=content><h1>T</h1><section><p>{PARAGRAPH}</p><p>{PARAGRAPH}</p></section></div><div class='side-bar sidebar'><p>{PARAGRAPH}</div><div id=comments><p>{PARAGRAPH}</div><div class=cookie-notice>{PARAGRAPH}</div>", f"{PARAGRAPH.strip()} {PARAGRAPH.strip()}"),
+    ("<p>a&nbsp;b\n\n c</p><style>x", "a b c"), ("<div " * 3, ""),
+])
+def test_main_text(page, want):
+    assert html_text.main_text(page).endswith(want) if want.startswith(PARAGRAPH.strip() + " S") else html_text.main_text(page) == want
+
+
+def test_deep_and_long_pages(pages):
+    assert html_text.main_text("<div>" * 20000 + "x") == "x"
+    assert html_text.main_text("<p>word " * 20000).count("word") == 20000
+    got = html_text.extract(pages)
+    assert got.count() == pages.count() and got.filter("n_chars <> length(text)").isEmpty() and html_text.extract(pages.limit(0)).isEmpty()
+
+
+# ---- 10: line dedup ----
+
+
+@pytest.mark.parametrize("digest_bytes", [16, 1])
+def test_line_dedup(spark, digest_bytes):
+    rng = random.Random(6)
+    line = lambda n: " ".join(f"l{rng.randrange(10**6)}" for _ in range(n))
+    heavy, passage = line(60), "\n".join(line(14) for _ in range(6))
+    rows = [(i, "\n".join([line(12), heavy if i % 2 else line(8), line(9), passage if i % 3 == 0 else line(5), line(11)]), f"k{i}") for i in range(12)]
+    rows += [(12, None, "n"), (13, "", "e"), (14, rows[3][1], "copy"), (14, rows[3][1], "copy"), (None, heavy, "h"), (15, "\n\n\n", "blank"), (16, heavy + "\n" + heavy, "own")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, removed_by string")
+    order = sorted(range(len(rows)), key=lambda i: (rows[i][0] is not None, rows[i][0] or 0))
+    seen, want = {}, []
+    for i in order:
+        doc, text, extra = rows[i]
+        if text is None:
+            want.append((doc, text, extra))
+            continue
+        kept, lines = [], text.split("\n")
+        for a, b, n in line_dedup.chunk_spans(text):
+            part = "\n".join(lines[a:b])
+            if line_dedup.eligible(a, b, n) and seen.setdefault(part, (doc, text, a)) != (doc, text, a):
+                continue
+            kept += lines[a:b]
+        want.append((doc, "\n".join(kept), extra))
+    got = line_dedup.drop_repeated(df, digest_bytes)
+    assert sorted(map(str, [(r.doc_id, r.text, r.removed_by) for r in got.collect()])) == sorted(map(str, want))
+    assert got.filter("text LIKE '%" + heavy + "%'").count() == 1
+    assert line_dedup.line_deduplicated(df.limit(0)).isEmpty()
+
+
+def test_chunks_resist_shifts():
+    rng = random.Random(7)
+    passage = [" ".join(f"p{rng.randrange(10**6)}" for _ in range(10)) for _ in range(40)]
+    cuts = lambda lines: {"\n".join(lines[a:b]) for a, b, _ in line_dedup.chunk_spans("\n".join(lines))}
+    a, b = cuts(passage), cuts(["something", "else", "before"] + passage)
+    assert len(a & b) >= len(a) - 2
