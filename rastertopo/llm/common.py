@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 
@@ -23,7 +24,7 @@ def shared_folder(spark: SparkSession) -> str:
     conf = spark.sparkContext.getConf()
     path = conf.get("spark.checkpoint.dir") or spark.sparkContext.getCheckpointDir()
     if not path:
-        if not spark.sparkContext.master.startswith("local["):
+        if not re.match(r"local(\[|$)", spark.sparkContext.master):
             raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
         path = tempfile.mkdtemp(prefix="corpus-scratch-")
         spark.sparkContext.setCheckpointDir(path)
@@ -88,9 +89,13 @@ SLICE_ROWS = 256
 
 def slices(batches):
     """Arrow batches cut small, so that few texts are Python objects at a time."""
+    import pyarrow as pa
+
     for batch in batches:
         for start in range(0, batch.num_rows, SLICE_ROWS):
             yield batch.slice(start, SLICE_ROWS)
+    # Workers stay for later tasks; what this one took goes back.
+    pa.default_memory_pool().release_unused()
 
 
 def worker_state() -> dict:

@@ -1,18 +1,20 @@
 """Near-duplicate detection by Order MinHash, verified by banded alignment.
 
 Each text is a sequence of five-word shingles, each labelled with how often it occurred before. A sketch takes, under
-one hash function, the ``LEAST`` smallest labelled shingles and keeps them in text order; equal sketches (buckets)
-make candidates. As the order counts, the chance of a common bucket follows the edit similarity.
+one hash function, the ``LEAST`` smallest labelled shingles and keeps them in text order; as the order counts, the
+chance of equal sketches follows the edit similarity. Texts with a sketch in common (a bucket) are candidates: with a
+share s of common shingles two texts meet with a chance of about 1 - (1 - s ** LEAST) ** SKETCHES, so next to 1 at 0.8,
+0.99 at 0.6 and 0.02 at 0.2, where texts only share a passage.
 
 Two texts are linked when their word edit distance is at most ``1 - SIMILARITY`` of the longer one's words, found by a
 bit-parallel alignment that only looks at the band in which this is possible. Classes are the connected components.
 
-No bucket is expanded into pairs. Equal texts are one node. In each bucket the smallest node is compared with the
-others. A node that is not linked to it stays: by the triangle inequality it can be linked to a member that was
-linked only if its distance to the smallest is at most the sum of both limits, and only then these two are compared;
-what is left is dealt with in the same way, round by round, until no bucket holds two nodes of different classes that
-were not compared or ruled out. So every link between texts that share a bucket is found, or known to join texts that
-already share a class.
+No group is expanded into its pairs. Equal texts are one node. In the buckets of the first ``STAR_SKETCHES`` sketches the
+smallest node is compared with the others, which already joins large groups of near copies. Then only buckets with nodes
+of several classes are looked at: first the nodes that are not of the bucket's most common class are compared with one
+node of that class, then, after the classes are formed anew, with all nodes of other classes, unless their lengths or
+the words that they do not share (counted in ``BINS`` hashed bins, an exact lower bound of the distance) rule a link
+out. So every link between texts that share a bucket is found, or known to join texts that already share a class.
 
 Cases: null and empty texts have no words and equal each other only; texts of under five words are one shingle; equal
 rows are copies; a repeated doc_id is a row of its own; an empty table gives an empty result; other columns are ignored.
@@ -21,19 +23,33 @@ rows are copies; a repeated doc_id is a row of its own; an empty table gives an
 from __future__ import annotations
 
 import numpy as np
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import KeyFilter, slices, text_or_empty, written
 
-SHINGLE, SKETCHES, LEAST, SIMILARITY = 5, 64, 3, 0.8
+SHINGLE, SKETCHES, LEAST, SIMILARITY = 5, 64, 5, 0.8
+#: Sketches whose buckets are compared with their smallest node first.
+STAR_SKETCHES = 8
+#: Bins of hashed words by which pairs are ruled out before their texts are fetched.
+BINS = 256
 #: Shingles hashed under all functions at once (bounds the memory of a task).
 BLOCK = 1 << 14
 
 
-def _multipliers(n: int, seed: int) -> tuple[np.ndarray, np.ndarray]:
-    rng = np.random.default_rng(seed)
-    return rng.integers(1, 1 << 63, n, dtype=np.uint64) | np.uint64(1), rng.integers(0, 1 << 63, n, dtype=np.uint64)
+def _multipliers(n: int, seed: int) -> np.ndarray:
+    return np.random.default_rng(seed).integers(1, 1 << 32, n, dtype=np.uint32) | np.uint32(1)
+
+
+class _Words(dict):
+    """64-bit hashes of words, of which it keeps some."""
+
+    def __missing__(self, word: str) -> int:
+        if len(self) >= 100_000:
+            self.clear()
+        found = self[word] = xxhash.xxh3_64_intdigest(word.encode("utf-8", "surrogatepass"))
+        return found
 
 
 def labelled_shingles(words: np.ndarray, k: int = SHINGLE) -> np.ndarray:
@@ -51,38 +67,49 @@ def labelled_shingles(words: np.ndarray, k: int = SHINGLE) -> np.ndarray:
         order = np.argsort(out, kind="stable")
         ordered = out[order]
         fresh = np.concatenate([[True], ordered[1:] != ordered[:-1]])
+        label = np.zeros(n, np.uint64)
         if not fresh.all():
             start = np.maximum.accumulate(np.where(fresh, np.arange(n), 0))
-            label = np.empty(n, np.uint64)
             label[order] = (np.arange(n) - start).astype(np.uint64)
-            out = (out ^ (label * np.uint64(0xD6E8FEB86659FD93))) * np.uint64(0xA0761D6478BD642F)
+        out = (out ^ (label * np.uint64(0xD6E8FEB86659FD93))) * np.uint64(0xA0761D6478BD642F)
         return out ^ (out >> np.uint64(32))
 
 
-def order_minhash(shingles: np.ndarray, multipliers: np.ndarray, offsets: np.ndarray, least: int = LEAST) -> np.ndarray:
-    """For each hash function one 64-bit bucket: the ``least`` smallest shingles in text order."""
+def order_minhash(shingles: np.ndarray, multipliers: np.ndarray, least: int = LEAST) -> np.ndarray:
+    """The 64-bit buckets of a text: for each hash function the ``least`` smallest shingles in text order.
+
+    A function multiplies the upper half of a shingle's hash. Only values below a bar that some 24 of a text pass are
+    sorted; where fewer than ``least`` pass, all are."""
     n, m = len(shingles), len(multipliers)
     if n == 0:
         return np.zeros(0, np.int64)
     keep = min(least, n)
+    high = (shingles >> np.uint64(32)).astype(np.uint32)
+    bar = np.uint32(min((1 << 32) - 1, 24 * (1 << 32) // n))
+    which, places, values = [], [], []
+    for start in range(0, n, BLOCK):
+        hashed = high[None, start : start + BLOCK] * multipliers[:, None]
+        at = np.flatnonzero((hashed <= bar).ravel())
+        width = hashed.shape[1]
+        which.append(at // width)
+        places.append(at % width + start)
+        values.append(hashed.ravel()[at])
+    which, places, values = np.concatenate(which), np.concatenate(places), np.concatenate(values)
+    order = np.lexsort((places, values, which))
+    which, places = which[order], places[order]
+    counts = np.bincount(which, minlength=m)
+    firsts = np.concatenate([[0], np.cumsum(counts)[:-1]])
+    chosen = np.empty((m, keep), np.int64)
+    full = counts >= keep
+    chosen[full] = places[firsts[full][:, None] + np.arange(keep)]
+    for j in np.flatnonzero(~full):
+        chosen[j] = np.argsort(high * multipliers[j], kind="stable")[:keep]
+    chosen.sort(axis=1)
+    found = shingles[chosen]
     with np.errstate(over="ignore"):
-        values = np.full((m, keep), np.uint64(0xFFFFFFFFFFFFFFFF))
-        places = np.zeros((m, keep), np.int64)
-        for start in range(0, n, BLOCK):
-            block = shingles[start : start + BLOCK]
-            hashed = block[None, :] * multipliers[:, None] + offsets[:, None]
-            hashed ^= hashed >> np.uint64(31)
-            size = min(keep, len(block))
-            near = np.argpartition(hashed, size - 1, axis=1)[:, :size] if size < len(block) else np.broadcast_to(np.arange(len(block)), hashed.shape)
-            both = np.concatenate([values, np.take_along_axis(hashed, near, 1)], 1)
-            at = np.concatenate([places, near + start], 1)
-            first = np.argsort(both, axis=1, kind="stable")[:, :keep]
-            values, places = np.take_along_axis(both, first, 1), np.take_along_axis(at, first, 1)
-        places.sort(axis=1)
-        chosen = shingles[places]
         bucket = np.arange(m, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
         for j in range(keep):
-            bucket = (bucket ^ chosen[:, j]) * np.uint64(0xFF51AFD7ED558CCD)
+            bucket = (bucket ^ found[:, j]) * np.uint64(0xFF51AFD7ED558CCD)
             bucket ^= bucket >> np.uint64(33)
     return bucket.view(np.int64)
 
@@ -164,51 +191,36 @@ def limit_of(n: int, similarity: float) -> int:
     return int((1 - similarity) * n + 1e-9)
 
 
-def reach_of(n_head: int, n: int, similarity: float) -> int:
-    """The distance to a head beyond which no text linked to the head can be linked to this one."""
-    other = int(n_head / similarity) + 1
-    return limit_of(max(n_head, other), similarity) + limit_of(max(other, n), similarity)
-
-
-SKETCH = "doc_id long, sha binary, buckets array<long>"
+SKETCH = "doc_id long, sha binary, n_words int, bins array<tinyint>, buckets array<long>"
 
 
 def sketches(docs: DataFrame, k: int = SHINGLE, m: int = SKETCHES, least: int = LEAST, seed: int = 11) -> DataFrame:
-    """doc_id, sha, buckets: the Order MinHash sketch of each text of docs (doc_id, text)."""
+    """The Order MinHash sketch of each text of docs (doc_id, text), with its words counted in bins (127 at most in one)."""
 
     def task(batches):
-        import hashlib
-
         import pyarrow as pa
 
-        multipliers, offsets = _multipliers(m, seed)
-        known: dict[str, int] = {}
+        multipliers = _multipliers(m, seed)
+        known = _Words()
         for batch in slices(batches):
-            found = []
+            found, sizes, bins = [], [], []
             for text in batch.column(1).to_pylist():
                 words = text.split()
-                hashes = np.empty(len(words), np.uint64)
-                for i, w in enumerate(words):
-                    h = known.get(w)
-                    if h is None:
-                        if len(known) > 500_000:
-                            known.clear()
-                        h = known[w] = int.from_bytes(hashlib.blake2b(w.encode("utf-8", "surrogatepass"), digest_size=8).digest(), "little")
-                    hashes[i] = h
-                found.append(order_minhash(labelled_shingles(hashes, k), multipliers, offsets, least))
+                hashes = np.fromiter(map(known.__getitem__, words), np.uint64, len(words))
+                found.append(order_minhash(labelled_shingles(hashes, k), multipliers, least))
+                sizes.append(len(words))
+                bins.append(np.minimum(np.bincount((hashes % np.uint64(BINS)).astype(np.int64), minlength=BINS), 127).astype(np.int8))
             offsets_of = np.concatenate([[0], np.cumsum([len(x) for x in found])]).astype(np.int32)
             lists = pa.ListArray.from_arrays(pa.array(offsets_of), pa.array(np.concatenate(found or [np.zeros(0, np.int64)])))
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), lists], ["doc_id", "sha", "buckets"])
+            counts = pa.ListArray.from_arrays(pa.array(np.arange(len(bins) + 1, dtype=np.int32) * BINS), pa.array(np.concatenate(bins or [np.zeros(0, np.int8)])))
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(sizes, pa.int32()), counts, lists], ["doc_id", "sha", "n_words", "bins", "buckets"])
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("text")).withColumn("sha", F.unhex(F.sha2("text", 256)))
     return rows.mapInArrow(task, SKETCH)
 
 
-COMPARED = "a long, b long, n_a int, n_b int, distance int, linked boolean, open boolean"
-
-
 def compare(pairs: DataFrame, texts: DataFrame, similarity: float) -> DataFrame:
-    """Aligns pairs (a, b) of nodes. ``distance`` is exact up to the reach; ``open``: not linked, but within reach of a."""
+    """Aligns pairs (a, b) of nodes: a, b, linked."""
 
     def task(batches):
         import pyarrow as pa
@@ -217,18 +229,15 @@ def compare(pairs: DataFrame, texts: DataFrame, similarity: float) -> DataFrame:
             out = []
             for a, b, x, y in zip(*(batch.column(i).to_pylist() for i in range(4))):
                 x, y = x.split(), y.split()
-                limit, reach = limit_of(max(len(x), len(y)), similarity), reach_of(len(x), len(y), similarity)
-                distance = edit_distance(x, y, max(limit, reach))
-                linked = distance <= limit and bool(x) == bool(y)
-                out.append((a, b, len(x), len(y), distance, linked, not linked and distance <= reach))
-            types = (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.bool_(), pa.bool_())
+                limit = limit_of(max(len(x), len(y)), similarity)
+                out.append((a, b, bool(x) == bool(y) and edit_distance(x, y, limit) <= limit))
             if out:
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out), types)], [x.split()[0] for x in COMPARED.split(", ")])
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out), (pa.int64(), pa.int64(), pa.bool_()))], ["a", "b", "linked"])
 
     left = texts.select(F.col("node").alias("a"), F.col("text").alias("text_a"))
     right = texts.select(F.col("node").alias("b"), F.col("text").alias("text_b"))
     both = pairs.join(right, "b").join(left, "a").select("a", "b", "text_a", "text_b")
-    return both.mapInArrow(task, COMPARED)
+    return both.mapInArrow(task, "a long, b long, linked boolean")
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -249,41 +258,80 @@ def components(edges: DataFrame) -> DataFrame:
 def near_classes(docs: DataFrame, similarity: float = SIMILARITY, k: int = SHINGLE, m: int = SKETCHES, least: int = LEAST) -> DataFrame:
     """One row for each row of docs (doc_id, text): doc_id, class_id (the smallest doc_id of the class), class_size, sha."""
     found = written(sketches(docs, k, m, least), "near-sketches")
-    nodes = found.groupBy("sha").agg(F.min("doc_id").alias("low"), F.count(F.lit(1)).alias("n"), F.any_value("buckets").alias("buckets"))
+    same = [F.any_value(c).alias(c) for c in ("n_words", "bins", "buckets")]
+    nodes = found.groupBy("sha").agg(F.min("doc_id").alias("low"), F.count(F.lit(1)).alias("n"), *same)
     nodes = written(nodes.withColumn("node", F.monotonically_increasing_id()), "near-nodes")
-    rows = nodes.select("node", F.explode("buckets").alias("bucket"))
+    rows = nodes.select("node", F.posexplode("buckets").alias("sketch", "bucket"))
     heads = rows.groupBy("bucket").agg(F.min("node").alias("head"), F.count(F.lit(1)).alias("_n")).filter("_n > 1").drop("_n")
-    open_rows = written(rows.join(heads, "bucket"), "near-buckets")
-    texts = node_texts(docs, nodes, open_rows)
-    compared, slots, rounds = None, 1, []
-    while True:
-        # Pairs of each row with the heads of its bucket, each pair once, and none that was compared before.
-        pairs = open_rows.filter("node <> head").select(F.least("node", "head").alias("a"), F.greatest("node", "head").alias("b")).distinct()
-        if compared is not None:
-            pairs = pairs.join(compared.select("a", "b"), ["a", "b"], "left_anti")
-        rounds.append(written(compare(pairs, texts, similarity), "near-compared"))
-        compared = rounds[0] if len(rounds) == 1 else compared.unionByName(rounds[-1])
-        linked = compared.filter("linked").select("a", "b")
-        linked = linked.unionByName(linked.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        tied = open_rows.join(linked, (F.col("node") == F.col("a")) & (F.col("head") == F.col("b")), "left")
-        rest = tied.groupBy("bucket", "node").agg(F.max(F.col("a").isNotNull() | (F.col("node") == F.col("head"))).alias("done")).filter("NOT done").drop("done")
-        slots = min(slots * 4, 64)
-        rest = written(rest.withColumn("slot", F.pmod(F.xxhash64("node"), F.lit(slots))), "near-rest")
-        heads = rest.groupBy("bucket", "slot").agg(F.min("node").alias("head")).drop("slot")
-        open_rows = written(rest.drop("slot").join(heads, "bucket").join(rest.groupBy("bucket").agg(F.count(F.lit(1)).alias("_n")).filter("_n > 1").drop("_n"), "bucket"), "near-buckets")
-        if open_rows.isEmpty():
-            break
+    shared = written(rows.join(heads, "bucket"), "near-buckets")
+    texts = node_texts(docs, nodes, shared)
+    about = nodes.select("node", "n_words", "bins")
+    pairs = shared.filter((F.col("sketch") < STAR_SKETCHES) & (F.col("node") != F.col("head"))).select(F.col("head").alias("a"), F.col("node").alias("b")).distinct()
+    sides = [about.select(F.col("node").alias(s), F.col("n_words").alias(f"n_words_{s}"), F.col("bins").alias(f"bins_{s}")) for s in "ab"]
+    pairs = pairs.join(sides[1], "b").join(sides[0], "a").filter(may_link("a", "b", similarity)).select("a", "b")
+    compared = written(compare(pairs, texts, similarity), "near-compared")
     labels = components(compared.filter("linked"))
-    near = second_looks(compared, labels)
-    if not near.isEmpty():
-        more = written(compare(near, texts, similarity), "near-compared")
-        labels = components(compared.filter("linked").select("a", "b").unionByName(more.filter("linked").select("a", "b")))
+    for looks in (strays, second_looks):
+        seen = mixed_buckets(shared.select("bucket", "node"), labels, about)
+        if seen.isEmpty():
+            break
+        more = looks(seen, similarity).join(compared.select("a", "b"), ["a", "b"], "left_anti")
+        again = written(compare(more, texts, similarity), "near-compared")
+        compared = compared.unionByName(again)
+        if not again.filter("linked").isEmpty():
+            labels = components(compared.filter("linked"))
     named = nodes.select("sha", "node", "low", "n").join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
     classes = named.groupBy("label").agg(F.min("low").alias("class_id"), F.sum("n").alias("class_size"))
     named = written(named.join(classes, "label").select("sha", "class_id", "class_size"), "near-classes")
     return found.select("doc_id", "sha").join(named, "sha").select("doc_id", "class_id", "class_size", "sha")
 
 
+def may_link(x: str, y: str, similarity: float):
+    """Whether the lengths and bins of two texts allow a link. What one text has more of in some bins must all be edited
+    away, and what the other has more of in others edited in: the greater of the two sums, (apart + longer) / 2, bounds
+    the distance from below."""
+    limit = F.floor((1 - similarity) * F.greatest(f"n_words_{x}", f"n_words_{y}") + 1e-9)
+    longer = F.abs(F.col(f"n_words_{x}") - F.col(f"n_words_{y}"))
+    apart = F.aggregate(F.zip_with(f"bins_{x}", f"bins_{y}", lambda a, b: F.abs(a.cast("int") - b.cast("int"))), F.lit(0), lambda n, d: n + d)
+    full = F.array_max(f"bins_{x}").cast("int") == 127
+    other = F.array_max(f"bins_{y}").cast("int") == 127
+    # Counts stop at 127; where one may have stopped, the lengths say nothing about the bins.
+    return (longer <= limit) & (apart + F.when(full | other, 0).otherwise(longer) <= 2 * limit)
+
+
+def mixed_buckets(shared: DataFrame, labels: DataFrame, about: DataFrame) -> DataFrame:
+    """The rows (bucket, node) of buckets with nodes of several classes, with ``common``, the class that most of them have."""
+    of = written(shared.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node")), "near-labelled")
+    counts = of.groupBy("bucket", "label").agg(F.count(F.lit(1)).alias("n"))
+    mixed = counts.groupBy("bucket").agg(F.max(F.struct("n", "label"))["label"].alias("common"), F.count(F.lit(1)).alias("n")).filter("n > 1").drop("n")
+    return written(of.join(mixed, "bucket").join(about, "node"), "near-mixed")
+
+
+def _side(side: str) -> list:
+    return [F.col("node").alias(side), *[F.col(c).alias(f"{c}_{side}") for c in ("n_words", "bins", "label")]]
+
+
+def strays(seen: DataFrame, similarity: float) -> DataFrame:
+    """Pairs (a, b) of a node of another class than its bucket's common one with the smallest node of that one."""
+    first = seen.filter("label = common").groupBy("bucket").agg(F.min(F.struct("node", "n_words", "bins", "label")).alias("h"))
+    first = first.select("bucket", "h.*")
+    one = seen.filter("label <> common").select("bucket", *_side("x"))
+    two = first.select(F.col("bucket").alias("_b"), *_side("y"))
+    near = one.join(two, (F.col("bucket") == F.col("_b")) & may_link("x", "y", similarity))
+    return near.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
+
+
+def second_looks(seen: DataFrame, similarity: float) -> DataFrame:
+    """Pairs (a, b) of a bucket of different classes, one of them not the bucket's common class, that lengths and bins allow."""
+    one = seen.filter("label <> common").select("bucket", *_side("x"))
+    two = seen.select(F.col("bucket").alias("_b"), F.col("common").alias("common_y"), *_side("y"))
+    # Two nodes that both are of other classes than the common one meet once.
+    once = (F.col("label_y") == F.col("common_y")) | (F.col("x") < F.col("y"))
+    may = (F.col("label_x") != F.col("label_y")) & once & may_link("x", "y", similarity)
+    near = one.join(two, (F.col("bucket") == F.col("_b")) & may)
+    return near.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
+
+
 def node_texts(docs: DataFrame, nodes: DataFrame, rows: DataFrame) -> DataFrame:
     """node, text of the nodes that share a bucket with another; other texts aren't moved."""
     wanted = written(nodes.join(rows.select("node").distinct(), "node", "left_semi").select("node", "sha"), "near-wanted")
@@ -292,19 +340,6 @@ def node_texts(docs: DataFrame, nodes: DataFrame, rows: DataFrame) -> DataFrame:
     return written(texts.join(wanted, "sha").select("node", "text"), "near-texts")
 
 
-def second_looks(compared: DataFrame, labels: DataFrame) -> DataFrame:
-    """Pairs (a, b) that share a compared node, of different classes, that the triangle inequality does not rule out."""
-    one = compared.select(F.col("a").alias("hub"), F.col("b").alias("node"), F.col("n_b").alias("n"), "distance", "linked", "open")
-    two = compared.select(F.col("b").alias("hub"), F.col("a").alias("node"), F.col("n_a").alias("n"), "distance", "linked", "open")
-    seen = one.unionByName(two).join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
-    ties = seen.filter("linked").select("hub", F.col("node").alias("x"), F.col("n").alias("n_x"), F.col("distance").alias("d_x"), F.col("label").alias("label_x"))
-    misses = seen.filter("open").select("hub", F.col("node").alias("y"), F.col("n").alias("n_y"), F.col("distance").alias("d_y"), F.col("label").alias("label_y"))
-    limit = (F.lit(1 - SIMILARITY) * F.greatest("n_x", "n_y") + 1e-9).cast("int")
-    near = misses.join(ties, "hub").filter((F.col("label_x") != F.col("label_y")) & (F.col("d_y") <= F.col("d_x") + limit))
-    pairs = near.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
-    return written(pairs.join(compared.select("a", "b"), ["a", "b"], "left_anti"), "near-looks")
-
-
 def keep_one(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
     """The rows of docs that stay: of each class the row with the smallest (doc_id, text)."""
     found = near_classes(docs, similarity)
