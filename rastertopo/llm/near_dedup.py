@@ -1,10 +1,11 @@
 """Near-duplicate detection by Order MinHash, verified by banded alignment.
 
-Each text is a sequence of five-word shingles, each labelled with how often it occurred before. A sketch takes, under
+Each text is a sequence of two-word shingles, each labelled with how often it occurred before. A sketch takes, under
 one hash function, the ``LEAST`` smallest labelled shingles and keeps them in text order; as the order counts, the
 chance of equal sketches follows the edit similarity. Texts with a sketch in common (a bucket) are candidates: with a
-share s of common shingles two texts meet with a chance of about 1 - (1 - s ** LEAST) ** SKETCHES, so next to 1 at 0.8,
-0.99 at 0.6 and 0.02 at 0.2, where texts only share a passage.
+share s of common shingles two texts meet with a chance of about 1 - (1 - s ** LEAST) ** SKETCHES. An edited word costs
+two shingles, so texts at the threshold of a link, one word in five replaced, still have s near 0.47 and meet with a
+chance of 0.99; of longer shingles too few would be left.
 
 Two texts are linked when their word edit distance is at most ``1 - SIMILARITY`` of the longer one's words, found by a
 bit-parallel alignment that only looks at the band in which this is possible. Classes are the connected components.
@@ -16,7 +17,7 @@ node of that class, then, after the classes are formed anew, with all nodes of o
 the words that they do not share (counted in ``BINS`` hashed bins, an exact lower bound of the distance) rule a link
 out. So every link between texts that share a bucket is found, or known to join texts that already share a class.
 
-Cases: null and empty texts have no words and equal each other only; texts of under five words are one shingle; equal
+Cases: null and empty texts have no words and equal each other only; texts of one word are one shingle; equal
 rows are copies; a repeated doc_id is a row of its own; an empty table gives an empty result; other columns are ignored.
 """
 
@@ -29,7 +30,7 @@ from pyspark.sql import functions as F
 
 from .common import KeyFilter, slices, text_or_empty, written
 
-SHINGLE, SKETCHES, LEAST, SIMILARITY = 5, 64, 5, 0.8
+SHINGLE, SKETCHES, LEAST, SIMILARITY = 2, 64, 3, 0.8
 #: Sketches whose buckets are compared with their smallest node first.
 STAR_SKETCHES = 8
 #: Bins of hashed words by which pairs are ruled out before their texts are fetched.

@@ -277,6 +277,22 @@ def test_order_matters_and_occurrences_count():
     assert same(straight, straight) == 1 and same(straight, swapped) < 0.6
 
 
+@pytest.mark.parametrize("share", [0.08, 0.1, 0.15, 0.2])
+def test_links_are_candidates(share):
+    """Texts with scattered edits up to the threshold share a sketch."""
+    rng = random.Random(8)
+    m = near_dedup._multipliers(near_dedup.SKETCHES, 11)
+    met = []
+    for _ in range(100):
+        a = [rng.getrandbits(62) for _ in range(rng.randint(20, 300))]
+        b = list(a)
+        for i in rng.sample(range(len(a)), near_dedup.limit_of(len(a), 1 - share)):
+            b[i] = rng.getrandbits(62)
+        x, y = (near_dedup.order_minhash(near_dedup.labelled_shingles(np.array(t, np.uint64)), m) for t in (a, b))
+        met.append(bool((x == y).any()))
+    assert np.mean(met) >= 0.95
+
+
 def near_rows(n=30, seed=4):
     rng = random.Random(seed)
     rows, k = [], 0
