@@ -5,7 +5,8 @@ one hash function, the ``LEAST`` smallest labelled shingles and keeps them in te
 chance of equal sketches follows the edit similarity. Texts with a sketch in common (a bucket) are candidates: with a
 share s of common shingles two texts meet with a chance of about 1 - (1 - s ** LEAST) ** SKETCHES. An edited word costs
 two shingles, so texts at the threshold of a link, one word in five replaced, still have s near 0.47 and meet with a
-chance of 0.99; of longer shingles too few would be left.
+chance of 0.99; of longer shingles too few would be left. Of short texts an edit may leave no shingle: where at most ``SHORT_EDITS`` edits
+are allowed, texts also share a bucket for each sequence of words left by that many deletions, so no link is missed.
 
 Two texts are linked when their word edit distance is at most ``1 - SIMILARITY`` of the longer one's words, found by a
 bit-parallel alignment that only looks at the band in which this is possible. Classes are the connected components.
@@ -23,6 +24,8 @@ rows are copies; a repeated doc_id is a row of its own; an empty table gives an
 
 from __future__ import annotations
 
+import itertools
+
 import numpy as np
 import xxhash
 from pyspark.sql import DataFrame
@@ -35,6 +38,8 @@ SHINGLE, SKETCHES, LEAST, SIMILARITY = 2, 64, 3, 0.8
 STAR_SKETCHES = 8
 #: Bins of hashed words by which pairs are ruled out before their texts are fetched.
 BINS = 256
+#: Links of so few edits at most are found by what deletions leave of the texts, besides sketches.
+SHORT_EDITS = 2
 #: Shingles hashed under all functions at once (bounds the memory of a task).
 BLOCK = 1 << 14
 
@@ -192,11 +197,37 @@ def limit_of(n: int, similarity: float) -> int:
     return int((1 - similarity) * n + 1e-9)
 
 
+def most_deletions(n: int, similarity: float, most: int = SHORT_EDITS) -> int:
+    """The most edits of a link of a text of n words with one as long or longer, where the longer may have ``most`` at most."""
+    longer, found = n, -1
+    while limit_of(longer, similarity) <= most and longer - n <= most:
+        if longer - n <= limit_of(longer, similarity):
+            found = limit_of(longer, similarity)
+        longer += 1
+    return found
+
+
+def deletion_keys(words: np.ndarray, similarity: float = SIMILARITY) -> np.ndarray:
+    """64-bit buckets of a short text: its sequence of word hashes and what is left by deletions, as many as a link's edits.
+
+    Texts within d edits have a sequence in common that d deletions or fewer leave of either."""
+    n = len(words)
+    deletions = most_deletions(n, similarity)
+    if n == 0 or deletions < 0:
+        return np.zeros(0, np.int64)
+    left = {words.tobytes()}
+    for d in range(1, min(deletions, n - 1) + 1):
+        left.update(np.delete(words, at).tobytes() for at in itertools.combinations(range(n), d))
+    return np.array(sorted(xxhash.xxh3_64_intdigest(x, seed=SHORT_EDITS) for x in left), np.uint64).view(np.int64)
+
+
 SKETCH = "doc_id long, sha binary, n_words int, bins array<tinyint>, buckets array<long>"
 
 
-def sketches(docs: DataFrame, k: int = SHINGLE, m: int = SKETCHES, least: int = LEAST, seed: int = 11) -> DataFrame:
-    """The Order MinHash sketch of each text of docs (doc_id, text), with its words counted in bins (127 at most in one)."""
+def sketches(docs: DataFrame, k: int = SHINGLE, m: int = SKETCHES, least: int = LEAST, seed: int = 11, similarity: float = SIMILARITY) -> DataFrame:
+    """The Order MinHash sketch of each text of docs (doc_id, text), with its words counted in bins (127 at most in one).
+
+    The buckets of a short text's deletions follow those of its sketches."""
 
     def task(batches):
         import pyarrow as pa
@@ -208,7 +239,7 @@ def sketches(docs: DataFrame, k: int = SHINGLE, m: int = SKETCHES, least: int =
             for text in batch.column(1).to_pylist():
                 words = text.split()
                 hashes = np.fromiter(map(known.__getitem__, words), np.uint64, len(words))
-                found.append(order_minhash(labelled_shingles(hashes, k), multipliers, least))
+                found.append(np.concatenate([order_minhash(labelled_shingles(hashes, k), multipliers, least), deletion_keys(hashes, similarity)]))
                 sizes.append(len(words))
                 bins.append(np.minimum(np.bincount((hashes % np.uint64(BINS)).astype(np.int64), minlength=BINS), 127).astype(np.int8))
             offsets_of = np.concatenate([[0], np.cumsum([len(x) for x in found])]).astype(np.int32)
@@ -258,7 +289,7 @@ def components(edges: DataFrame) -> DataFrame:
 
 def near_classes(docs: DataFrame, similarity: float = SIMILARITY, k: int = SHINGLE, m: int = SKETCHES, least: int = LEAST) -> DataFrame:
     """One row for each row of docs (doc_id, text): doc_id, class_id (the smallest doc_id of the class), class_size, sha."""
-    found = written(sketches(docs, k, m, least), "near-sketches")
+    found = written(sketches(docs, k, m, least, similarity=similarity), "near-sketches")
     same = [F.any_value(c).alias(c) for c in ("n_words", "bins", "buckets")]
     nodes = found.groupBy("sha").agg(F.min("doc_id").alias("low"), F.count(F.lit(1)).alias("n"), *same)
     nodes = written(nodes.withColumn("node", F.monotonically_increasing_id()), "near-nodes")

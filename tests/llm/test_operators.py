@@ -293,6 +293,29 @@ def test_links_are_candidates(share):
     assert np.mean(met) >= 0.95
 
 
+def test_links_of_short_texts_share_a_key():
+    rng = random.Random(9)
+    for _ in range(3000):
+        a = [rng.randrange(1 << 40) for _ in range(rng.randint(1, 14))]
+        b = list(a)
+        for _ in range(rng.randint(0, 2)):
+            i = rng.randrange(len(b) + 1)
+            b[i : i + rng.randint(0, 1)] = [rng.randrange(1 << 40)] * rng.randint(0, 1)
+        longer = max(len(a), len(b))
+        limit = near_dedup.limit_of(longer, 0.8)
+        if b and longer <= 14 and plain_distance(a, b) <= limit:
+            x, y = (set(near_dedup.deletion_keys(np.array(t, np.uint64)).tolist()) for t in (a, b))
+            assert x & y
+    assert len(near_dedup.deletion_keys(np.arange(15, dtype=np.uint64))) == 0
+
+
+def test_short_texts_are_linked(spark):
+    base = [f"w{i}" for i in range(9)]
+    rows = [(1, " ".join(base)), (2, " ".join(base[:8])), (3, " ".join(f"v{i}" for i in range(5))), (4, "v0 v1 x v3 v4"), (5, "v0  v1 x v3 v4"), (6, "solo"), (7, "other"), (8, "v0 v1 v3 q"), (9, "u1 u2 u3 u4"), (10, "u1 u2 u3 x")]
+    got = {r.doc_id: r.class_id for r in near_dedup.near_classes(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {1: 1, 2: 1, 3: 3, 4: 3, 5: 3, 6: 6, 7: 7, 8: 8, 9: 9, 10: 10}
+
+
 def near_rows(n=30, seed=4):
     rng = random.Random(seed)
     rows, k = [], 0
