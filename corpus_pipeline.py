@@ -4,7 +4,7 @@ Each stage takes (spark, docs, sf_dir) and returns a DataFrame; ``run`` writes i
 gives it to the next stage. All stages but the last return the columns of ``documents``.
 
 1. ``toxicity``: documents that the model of the table ``labels`` scores 0.5 or more go.
-2. ``line_dedup``: repeated chunks of lines go but for their first occurrence; a document of which nothing is left goes.
+2. ``line_dedup``: repeated runs of lines go but for their first occurrence; a document of which nothing is left goes.
 3. ``near_dedup``: of each class of near duplicates the document with the smallest id stays.
 4. ``mixing``: the sources of what is left are mixed to weights 1, 2, 3 in turn, at most three epochs each; a document
    comes as often as the mix takes it whole (the one that the mix takes in part comes if at least half of it is taken).
@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from rastertopo.llm.common import table, written
-from rastertopo.llm.line_dedup import drop_repeated
+from rastertopo.llm.line_dedup import drop_passages
 from rastertopo.llm.mixing import mix
 from rastertopo.llm.near_dedup import keep_one
 from rastertopo.llm.pieces import encode
@@ -32,7 +32,7 @@ def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    kept = drop_repeated(docs.select(*COLUMNS)).filter("removed IS NULL OR length(trim(text)) > 0").drop("removed")
+    kept = drop_passages(docs.select(*COLUMNS)).filter("removed IS NULL OR length(trim(text)) > 0").drop("removed")
     return kept.withColumn("n_chars", F.length("text").cast("long")).select(*COLUMNS)
 
 

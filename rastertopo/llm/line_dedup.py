@@ -1,12 +1,18 @@
-"""Line dedup by content-defined chunks of lines.
+"""Line dedup: repeated runs of lines, found wherever they start.
 
-A rolling hash over the hashes of the last two lines tells where a chunk ends, so that the same passage is cut alike
-wherever it stands. A line of ``HEAVY_WORDS`` words or more is a chunk of its own. Chunks of several lines, and heavy
-lines, of at least ``LEAST_WORDS`` words in all, that occur more than once anywhere are removed but for their first
-occurrence by (doc_id, text, place). Chunks are found by a digest and compared byte by byte before any is removed.
+A run of several lines of at least ``LEAST_WORDS`` words in all, or a line of ``HEAVY_WORDS`` words or more, that occurs
+earlier anywhere, by (doc_id, text, place), is removed (``drop_passages``). Each repeated run is the union of its shortest
+pieces that reach the threshold: for each line the shortest one that begins there and the shortest one that ends there.
+Whether a piece occurs earlier needs no look at its neighbours, so a run goes whole, whatever stands around it, and nothing
+goes that is not part of a repeated run. The first occurrence of each line stays.
 
-Chunks of a digest are counted and compared with partial aggregates; texts without a repeated chunk pass without a
-shuffle, and the others are joined to the lines to drop.
+``drop_repeated`` alone takes content-defined chunks for pieces instead: a rolling hash over the hashes of the last two
+lines tells where a chunk ends, and a line of ``HEAVY_WORDS`` words or more is a chunk of its own. That leaves most lines of
+repeated passages, so the queries don't use it.
+
+Pieces are found by a digest and compared byte by byte before any is removed. Pieces of a digest are counted and compared
+with partial aggregates; texts without a repeated piece pass without a shuffle, and the others are joined to the lines
+to drop.
 
 Cases: a null text stays null and an empty one empty; a text whose lines all go becomes empty, its row stays; rows
 equal in doc_id and text are treated alike; a null doc_id comes first in order; an empty table gives an empty result;
@@ -17,7 +23,7 @@ from __future__ import annotations
 
 import hashlib
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import KeyFilter, slices, written
@@ -55,8 +61,38 @@ def eligible(first: int, after: int, words: int) -> bool:
     return words >= LEAST_WORDS and (after - first > 1 or words >= HEAVY_WORDS)
 
 
-def chunks(docs: DataFrame, digest_bytes: int = DIGEST_BYTES) -> DataFrame:
-    """The removable chunks of docs (doc_id, text): doc_id, twin, first, after, digest, piece."""
+def chunk_pieces(text: str) -> list[tuple[int, int]]:
+    return [(a, b) for a, b, words in chunk_spans(text) if eligible(a, b, words)]
+
+
+def run_pieces(text: str) -> list[tuple[int, int]]:
+    """The shortest eligible runs of lines that begin or end at each line, and the heavy lines, as (first, after).
+
+    A run of lines is a union of these if and only if it is eligible."""
+    sums = [0]
+    for line in text.split("\n"):
+        sums.append(sums[-1] + len(line.split()))
+    n = len(sums) - 1
+    found = {(i, i + 1) for i in range(n) if sums[i + 1] - sums[i] >= HEAVY_WORDS}
+    after = 0
+    for first in range(n - 1):
+        after = max(after, first + 2)
+        while after <= n and sums[after] - sums[first] < LEAST_WORDS:
+            after += 1
+        if after > n:
+            break
+        found.add((first, after))
+    first = 0
+    for after in range(2, n + 1):
+        while first + 1 < after - 1 and sums[after] - sums[first + 1] >= LEAST_WORDS:
+            first += 1
+        if sums[after] - sums[first] >= LEAST_WORDS:
+            found.add((first, after))
+    return sorted(found)
+
+
+def chunks(docs: DataFrame, digest_bytes: int = DIGEST_BYTES, pieces=chunk_pieces) -> DataFrame:
+    """The removable pieces of docs (doc_id, text): doc_id, twin, first, after, digest, piece."""
 
     def task(batches):
         import pyarrow as pa
@@ -67,14 +103,13 @@ def chunks(docs: DataFrame, digest_bytes: int = DIGEST_BYTES) -> DataFrame:
                 if not text:
                     continue
                 lines = text.split("\n")
-                for a, b, words in chunk_spans(text):
-                    if eligible(a, b, words):
-                        part = "\n".join(lines[a:b])
-                        owner.append(row)
-                        first.append(a)
-                        after.append(b)
-                        piece.append(part)
-                        digest.append(hashlib.blake2b(part.encode("utf-8", "surrogatepass"), digest_size=digest_bytes).digest())
+                for a, b in pieces(text):
+                    part = "\n".join(lines[a:b])
+                    owner.append(row)
+                    first.append(a)
+                    after.append(b)
+                    piece.append(part)
+                    digest.append(hashlib.blake2b(part.encode("utf-8", "surrogatepass"), digest_size=digest_bytes).digest())
             rows = pa.array(owner, pa.int64())
             yield pa.RecordBatch.from_arrays(
                 [batch.column(0).take(rows), batch.column(1).take(rows), pa.array(first, pa.int32()), pa.array(after, pa.int32()), pa.array(digest, pa.binary()), pa.array(piece, pa.string())],
@@ -85,9 +120,10 @@ def chunks(docs: DataFrame, digest_bytes: int = DIGEST_BYTES) -> DataFrame:
     return rows.mapInArrow(task, "doc_id long, twin long, first int, after int, digest binary, piece string")
 
 
-def repeated_lines(docs: DataFrame, digest_bytes: int = DIGEST_BYTES) -> DataFrame:
+def repeated_lines(docs: DataFrame, digest_bytes: int = DIGEST_BYTES, pieces=chunk_pieces) -> DataFrame:
     """The lines to drop: doc_id, twin, drop array<struct<first, after>>; one row for each text that loses some."""
-    found = written(chunks(docs, digest_bytes), "line-chunks")
+    found = written(chunks(docs, digest_bytes, pieces), "line-chunks")
+    # Pieces of several lengths may begin at one line; they differ in their digests.
     place = F.struct("doc_id", "twin", "first")
 
     def first_of(rows: DataFrame, *by: str) -> DataFrame:
@@ -105,13 +141,31 @@ def repeated_lines(docs: DataFrame, digest_bytes: int = DIGEST_BYTES) -> DataFra
         apart = told.join(first_of(told, "digest", "piece"), ["digest", "piece"]).drop("piece")
         later = light.join(repeated.join(mixed, "digest", "left_anti"), "digest").unionByName(apart)
     later = later.filter(~place.eqNullSafe(F.col("kept")))
-    # At most the chunks of one text in a list.
-    return later.groupBy("doc_id", "twin").agg(F.array_sort(F.collect_set(F.struct("first", "after"))).alias("drop"))
+    # At most the pieces of one text in a list.
+    drops = later.groupBy("doc_id", "twin").agg(F.array_sort(F.collect_set(F.struct("first", "after"))).alias("drop"))
+    return drops.withColumn("drop", disjoint(F.col("drop")))
+
+
+def disjoint(spans: Column) -> Column:
+    """Sorted spans, those that overlap made one."""
+
+    def add(done: Column, s: Column) -> Column:
+        last = F.get(done, F.size(done) - 1)
+        longer = F.struct(last["first"].alias("first"), F.greatest(last["after"], s["after"]).alias("after"))
+        joined = F.concat(F.slice(done, 1, F.size(done) - 1), F.array(longer))
+        return F.when((F.size(done) > 0) & (s["first"] < last["after"]), joined).otherwise(F.concat(done, F.array(s)))
+
+    return F.aggregate(spans, F.expr("cast(array() as array<struct<first: int, after: int>>)"), add)
+
+
+def drop_passages(docs: DataFrame, digest_bytes: int = DIGEST_BYTES) -> DataFrame:
+    """The input rows without repeated runs of lines; adds ``removed`` as ``drop_repeated`` does."""
+    return drop_repeated(docs, digest_bytes, run_pieces)
 
 
-def drop_repeated(docs: DataFrame, digest_bytes: int = DIGEST_BYTES) -> DataFrame:
-    """The input rows without repeated chunks; adds ``removed`` array<struct<first, after>>: the lines that went."""
-    lines = written(repeated_lines(docs, digest_bytes), "line-drops")
+def drop_repeated(docs: DataFrame, digest_bytes: int = DIGEST_BYTES, pieces=chunk_pieces) -> DataFrame:
+    """The input rows without repeated pieces, chunks by default; adds ``removed`` array<struct<first, after>>: the lines that went."""
+    lines = written(repeated_lines(docs, digest_bytes, pieces), "line-drops")
     key = F.xxhash64("doc_id", "twin")
     rows = docs.withColumn("_twin", F.xxhash64("text")).withColumn("_key", F.xxhash64(F.col("doc_id").cast("long"), F.col("_twin")))
     rows = KeyFilter(lines.withColumn("_key", key), "_key").flag(rows, "_key", "_may")
@@ -127,7 +181,7 @@ def drop_repeated(docs: DataFrame, digest_bytes: int = DIGEST_BYTES) -> DataFram
 
 def line_deduplicated(docs: DataFrame) -> DataFrame:
     """One row for each document: doc_id, text, n_lines, n_removed_lines, removed."""
-    kept = drop_repeated(docs.select("doc_id", "text"))
+    kept = drop_passages(docs.select("doc_id", "text"))
     gone = F.coalesce(F.aggregate("removed", F.lit(0), lambda n, s: n + s["after"] - s["first"]), F.lit(0)).cast("long")
     lines = F.when(F.length("text") > 0, F.size(F.split("text", "\n", -1)).cast("long")).otherwise(F.lit(0))
     return kept.select("doc_id", "text", lines.alias("n_lines"), gone.alias("n_removed_lines"), "removed")

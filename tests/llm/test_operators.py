@@ -492,3 +492,37 @@ def test_chunks_resist_shifts():
     cuts = lambda lines: {"\n".join(lines[a:b]) for a, b, _ in line_dedup.chunk_spans("\n".join(lines))}
     a, b = cuts(passage), cuts(["something", "else", "before"] + passage)
     assert len(a & b) >= len(a) - 2
+
+
+def brute_passages(rows):
+    """What is left of (doc, text) rows: a line goes if a run of lines around it that is long enough occurs earlier."""
+    seen, out = set(), []
+    for _, text in rows:
+        lines = text.split("\n")
+        gone = set()
+        for a in range(len(lines)):
+            for b in range(a + 1, len(lines) + 1):
+                part = tuple(lines[a:b])
+                if line_dedup.eligible(a, b, sum(len(x.split()) for x in part)):
+                    if part in seen:
+                        gone.update(range(a, b))
+                    seen.add(part)
+        out.append("\n".join(x for i, x in enumerate(lines) if i not in gone))
+    return out
+
+
+@pytest.mark.parametrize("digest_bytes", [16, 1])
+def test_repeated_passages_go_whole(spark, digest_bytes):
+    """Passages of ordinary lines, each planted in two contexts, and random texts of few lines against brute force."""
+    rng = random.Random(11)
+    line = lambda n: " ".join(f"q{rng.randrange(10**6)}" for _ in range(n))
+    passages = [[line(w) for _ in range(n)] for n, w in ((2, 30), (3, 20), (4, 15), (6, 10), (10, 10), (20, 8))]
+    rows = [(k, "\n".join([line(9), *p, line(12)])) for k, p in enumerate(passages + passages)]
+    some = [line(n) for n in (2, 4, 6, 12, 60)] + [""]
+    rows += [(100 + k, "\n".join(rng.choice(some) for _ in range(rng.randint(1, 9)))) for k in range(40)]
+    got = line_dedup.drop_passages(spark.createDataFrame(rows, "doc_id long, text string"), digest_bytes).orderBy("doc_id").collect()
+    assert [r.text for r in got] == brute_passages(rows)
+    assert [len(r.text.split("\n")) for r in got[6:12]] == [2] * 6
+    for r, (_, text) in zip(got, rows):
+        gone = [i for s in r.removed or [] for i in range(s["first"], s["after"])]
+        assert len(gone) == len(set(gone)) and all(i < len(text.split("\n")) for i in gone)
