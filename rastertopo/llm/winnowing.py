@@ -1,12 +1,12 @@
 """Document fingerprints by winnowing, in DataFrame operations only.
 
-Words are hashed once, and the k-gram hash rolls over them. Of each window of w successive k-grams the smallest hash
-is chosen, of equal ones the rightmost, and kept with its position. So two texts that share k + w - 1 successive
-words share a fingerprint entry, at positions that the entries tell.
+Each gram is k successive characters (code points), white space included. Of each window of w successive grams the
+smallest hash is chosen, of equal ones the rightmost, and kept with its position. So two texts that share k + w - 1
+successive characters share a fingerprint entry, at positions that the entries tell.
 
 A chosen entry is one long: 38 bits of hash above 25 bits that fall as the position rises, so that the least long of a
-window is the rightmost least hash. Texts of under k words make one gram of all their words, and an empty text the
-gram of no words; positions past 2**25 words count as that position.
+window is the rightmost least hash. A text of under k characters is one gram; positions past 2**25 characters count as
+that position.
 
 Cases: a null text counts as empty; equal texts have equal fingerprints; an empty table gives an empty result; columns
 other than the id and the text are ignored. Rows that share a doc_id follow each other in the order of their texts;
@@ -20,8 +20,7 @@ from pyspark.sql import functions as F
 
 from .common import text_or_empty
 
-WHITE = "[\\x20\\x09-\\x0D]+"
-GRAM, WINDOW = 5, 4
+GRAM, WINDOW = 8, 8
 POSITION_BITS = 25
 HASH_MASK, POSITION_MASK = (1 << 38) - 1, (1 << POSITION_BITS) - 1
 #: Rows of one stretch of the id order, and the most stretches (their bounds are literals of the plan).
@@ -31,20 +30,24 @@ LEAST = -(1 << 63)
 
 def chosen(text: Column, k: int = GRAM, w: int = WINDOW) -> Column:
     """array<long>: the packed entries of a text's fingerprint in text order."""
-    words = F.transform(F.array_remove(F.split(text, WHITE), ""), lambda x: F.xxhash64(x))
+    # One match for each code point; the gram is what its lookahead sees.
+    found = F.regexp_extract_all(text, F.lit(f"(?s)(?=(.{{{k}}}))."), F.lit(1))
+    grams = F.when(F.length(text) < k, F.array(text)).otherwise(found)
 
-    def grams(hashes: Column) -> Column:
-        def packed(i: Column) -> Column:
-            gram = F.xxhash64(*[F.get(hashes, i + j) for j in range(k)]).bitwiseAND(F.lit(HASH_MASK))
-            return F.shiftleft(gram, POSITION_BITS).bitwiseOR(F.lit(POSITION_MASK) - F.least(i, F.lit(POSITION_MASK)))
+    def packed(gram: Column, i: Column) -> Column:
+        return F.shiftleft(F.xxhash64(gram).bitwiseAND(F.lit(HASH_MASK)), POSITION_BITS).bitwiseOR(F.lit(POSITION_MASK) - F.least(i, F.lit(POSITION_MASK)))
 
-        return F.transform(F.sequence(F.lit(0), F.greatest(F.size(hashes) - k, F.lit(0))), packed)
+    def wider(step: int):
+        # Past the end there is nothing to be less.
+        return lambda x: F.zip_with(x, F.slice(x, step + 1, F.size(x)), lambda a, b: F.least(a, b))
 
-    def windows(entries: Column) -> Column:
-        starts = F.sequence(F.lit(1), F.greatest(F.size(entries) - w + 1, F.lit(1)))
-        return F.array_distinct(F.transform(starts, lambda i: F.array_min(F.slice(entries, i, w))))
-
-    return _let(_let(words, grams), windows)
+    least, width = F.transform(grams, packed), 1
+    while width < w:
+        step = min(width, w - width)
+        least = _let(least, wider(step))
+        width += step
+    # The last w - 1 windows are not whole.
+    return F.array_distinct(_let(least, lambda x: F.slice(x, F.lit(1), F.greatest(F.size(x) - w + 1, F.lit(1)))))
 
 
 def _let(value: Column, body) -> Column:
@@ -57,7 +60,7 @@ def hashes_of(entries: Column) -> Column:
 
 
 def as_string(entries: Column) -> Column:
-    """The entries as hash@position, hash in hexadecimal, position counted in words from 0."""
+    """The entries as hash@position, hash in hexadecimal, position counted in characters from 0."""
     one = lambda x: F.concat(F.hex(F.shiftright(x, POSITION_BITS)), F.lit("@"), (F.lit(POSITION_MASK) - x.bitwiseAND(F.lit(POSITION_MASK))).cast("string"))
     return F.array_join(F.transform(entries, one), " ")
 

@@ -164,6 +164,18 @@ def test_winnowing_guarantee(spark):
     assert all(a & b for a in found for b in found)
 
 
+def test_short_texts_share_characters(spark):
+    """15 successive characters in common are found, in texts of few words or none apart, and beyond the basic plane."""
+    shared = ["three short words", "漢字" * 8, "😀é" * 8, "unbroken" * 3]
+    rows = [(2 * i + j, text) for i, s in enumerate(shared) for j, text in enumerate((f"{s} ab", f"x😀 {s}"))]
+    got = {r.doc_id: r.entries for r in winnowing.fingerprints(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    for i in range(len(shared)):
+        assert {e["hash"] for e in got[2 * i]} & {e["hash"] for e in got[2 * i + 1]}
+    # Positions count code points, and there is a gram for each but the last seven.
+    grams = winnowing.fingerprints(spark.createDataFrame([(1, "😀bcdefghij")], "doc_id long, text string"), w=1).first()["entries"]
+    assert [e["position"] for e in grams] == [0, 1, 2]
+
+
 @pytest.mark.parametrize("stretch", [500, 2])
 def test_edited_texts(docs, none, monkeypatch, stretch):
     monkeypatch.setattr(winnowing, "STRETCH_ROWS", stretch)
