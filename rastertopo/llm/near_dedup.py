@@ -1,22 +1,25 @@
 """Near-duplicate detection by Order MinHash, verified by banded alignment.
 
-Each text is a sequence of two-word shingles, each labelled with how often it occurred before. A sketch takes, under
+Each text is a sequence of five-word shingles, each labelled with how often it occurred before. A sketch takes, under
 one hash function, the ``LEAST`` smallest labelled shingles and keeps them in text order; as the order counts, the
 chance of equal sketches follows the edit similarity. Texts with a sketch in common (a bucket) are candidates: with a
-share s of common shingles two texts meet with a chance of about 1 - (1 - s ** LEAST) ** SKETCHES. An edited word costs
-two shingles, so texts at the threshold of a link, one word in five replaced, still have s near 0.47 and meet with a
-chance of 0.99; of longer shingles too few would be left. Of short texts an edit may leave no shingle: where at most ``SHORT_EDITS`` edits
-are allowed, texts also share a bucket for each sequence of words left by that many deletions, so no link is missed.
+share s of common shingles two texts meet with a chance of about 1 - (1 - s ** LEAST) ** SKETCHES. Where one word in
+five was replaced, the threshold of a link, s is near 0.2 and the chance near 0.99. Of short texts an edit may leave
+hardly a shingle: up to ``SHORT_WORDS`` words they have sketches of two-word shingles as well, and where at most
+``SHORT_EDITS`` edits are allowed, texts also share a bucket for each sequence of words left by that many deletions.
 
 Two texts are linked when their word edit distance is at most ``1 - SIMILARITY`` of the longer one's words, found by a
 bit-parallel alignment that only looks at the band in which this is possible. Classes are the connected components.
 
 No group is expanded into its pairs. Equal texts are one node. In the buckets of the first ``STAR_SKETCHES`` sketches the
-smallest node is compared with the others, which already joins large groups of near copies. Then only buckets with nodes
-of several classes are looked at: first the nodes that are not of the bucket's most common class are compared with one
-node of that class, then, after the classes are formed anew, with all nodes of other classes, unless their lengths or
-the words that they do not share (counted in ``BINS`` hashed bins, an exact lower bound of the distance) rule a link
-out. So every link between texts that share a bucket is found, or known to join texts that already share a class.
+smallest node is compared with the others, which already joins large groups of near copies; then, in buckets with nodes
+of several classes, the nodes that are not of the bucket's most common class are compared with one node of that class.
+Of what buckets are mixed still, those of at most ``LIGHT`` nodes give a pair for each node and node of another class
+that lengths and the words in ``BINS`` hashed bins, an exact lower bound of the distance, don't rule out. Larger ones are
+dealt into blocks of at most ``BLOCK_NODES`` nodes and ``BLOCK_BYTES`` of text; each task holds two blocks, rules pairs out
+by the same bound with arrays, aligns a pair in the first bucket that both share, skips it when links found before
+already join the two, and gives links only. So every link between texts that share a bucket is found, or known to
+join texts that already share a class; nothing is capped.
 
 Cases: null and empty texts have no words and equal each other only; texts of one word are one shingle; equal
 rows are copies; a repeated doc_id is a row of its own; an empty table gives an empty result; other columns are ignored.
@@ -33,15 +36,22 @@ from pyspark.sql import functions as F
 
 from .common import KeyFilter, slices, text_or_empty, written
 
-SHINGLE, SKETCHES, LEAST, SIMILARITY = 2, 64, 3, 0.8
+SHINGLE, SKETCHES, LEAST, SIMILARITY = 5, 128, 2, 0.8
+#: Texts of so many words at most also have ``SHORT_SKETCHES`` sketches of ``SHORT_LEAST`` shingles of two words.
+SHORT_WORDS, SHORT_SHINGLE, SHORT_SKETCHES, SHORT_LEAST = 48, 2, 64, 3
 #: Sketches whose buckets are compared with their smallest node first.
 STAR_SKETCHES = 8
-#: Bins of hashed words by which pairs are ruled out before their texts are fetched.
+#: Bins of hashed words by which pairs are ruled out before they are aligned.
 BINS = 256
 #: Links of so few edits at most are found by what deletions leave of the texts, besides sketches.
 SHORT_EDITS = 2
 #: Shingles hashed under all functions at once (bounds the memory of a task).
-BLOCK = 1 << 14
+BLOCK = 1 << 13
+#: Buckets of more nodes of several classes are compared in blocks.
+LIGHT = 24
+#: The most nodes and the bytes of text of a block (one longer text is a block of its own).
+BLOCK_NODES, BLOCK_BYTES, BLOCK_BINS = 1024, 4 << 20, 1024
+SHORT_SALT = np.int64(0x2545F4914F6CDD1D)
 
 
 def _multipliers(n: int, seed: int) -> np.ndarray:
@@ -84,32 +94,24 @@ def labelled_shingles(words: np.ndarray, k: int = SHINGLE) -> np.ndarray:
 def order_minhash(shingles: np.ndarray, multipliers: np.ndarray, least: int = LEAST) -> np.ndarray:
     """The 64-bit buckets of a text: for each hash function the ``least`` smallest shingles in text order.
 
-    A function multiplies the upper half of a shingle's hash. Only values below a bar that some 24 of a text pass are
-    sorted; where fewer than ``least`` pass, all are."""
+    A function multiplies the upper half of a shingle's hash; of equal values the earlier shingle counts as smaller."""
     n, m = len(shingles), len(multipliers)
     if n == 0:
         return np.zeros(0, np.int64)
     keep = min(least, n)
     high = (shingles >> np.uint64(32)).astype(np.uint32)
-    bar = np.uint32(min((1 << 32) - 1, 24 * (1 << 32) // n))
-    which, places, values = [], [], []
+    every = np.arange(m)
+    values, places = [], []
     for start in range(0, n, BLOCK):
         hashed = high[None, start : start + BLOCK] * multipliers[:, None]
-        at = np.flatnonzero((hashed <= bar).ravel())
-        width = hashed.shape[1]
-        which.append(at // width)
-        places.append(at % width + start)
-        values.append(hashed.ravel()[at])
-    which, places, values = np.concatenate(which), np.concatenate(places), np.concatenate(values)
-    order = np.lexsort((places, values, which))
-    which, places = which[order], places[order]
-    counts = np.bincount(which, minlength=m)
-    firsts = np.concatenate([[0], np.cumsum(counts)[:-1]])
-    chosen = np.empty((m, keep), np.int64)
-    full = counts >= keep
-    chosen[full] = places[firsts[full][:, None] + np.arange(keep)]
-    for j in np.flatnonzero(~full):
-        chosen[j] = np.argsort(high * multipliers[j], kind="stable")[:keep]
+        for _ in range(min(keep, hashed.shape[1])):
+            at = hashed.argmin(axis=1)
+            values.append(hashed[every, at])
+            places.append(at + start)
+            hashed[every, at] = np.uint32((1 << 32) - 1)
+    chosen = np.stack(places, 1)
+    if len(places) > keep:
+        chosen = np.take_along_axis(chosen, np.argsort(np.stack(values, 1), axis=1, kind="stable")[:, :keep], 1)
     chosen.sort(axis=1)
     found = shingles[chosen]
     with np.errstate(over="ignore"):
@@ -120,6 +122,16 @@ def order_minhash(shingles: np.ndarray, multipliers: np.ndarray, least: int = LE
     return bucket.view(np.int64)
 
 
+def text_buckets(words: np.ndarray, functions: np.ndarray, k: int = SHINGLE, least: int = LEAST, similarity: float = SIMILARITY) -> np.ndarray:
+    """The buckets of a sequence of word hashes: its sketches, those of a short text, and those of its deletions."""
+    found = [order_minhash(labelled_shingles(words, k), functions, least)]
+    if 0 < len(words) <= SHORT_WORDS:
+        # Other buckets than those of the long shingles, whatever their words.
+        found.append(order_minhash(labelled_shingles(words, SHORT_SHINGLE), functions[:SHORT_SKETCHES], SHORT_LEAST) ^ SHORT_SALT)
+        found.append(deletion_keys(words, similarity))
+    return np.concatenate(found)
+
+
 def edit_distance(a: list, b: list, most: int) -> int:
     """The edit distance of two sequences if it is at most ``most``, else ``most + 1``."""
     start, shorter = 0, min(len(a), len(b))
@@ -225,9 +237,7 @@ SKETCH = "doc_id long, sha binary, n_words int, bins array<tinyint>, buckets arr
 
 
 def sketches(docs: DataFrame, k: int = SHINGLE, m: int = SKETCHES, least: int = LEAST, seed: int = 11, similarity: float = SIMILARITY) -> DataFrame:
-    """The Order MinHash sketch of each text of docs (doc_id, text), with its words counted in bins (127 at most in one).
-
-    The buckets of a short text's deletions follow those of its sketches."""
+    """The buckets of each text of docs (doc_id, text), with its words counted in bins (127 at most in one)."""
 
     def task(batches):
         import pyarrow as pa
@@ -239,7 +249,7 @@ def sketches(docs: DataFrame, k: int = SHINGLE, m: int = SKETCHES, least: int =
             for text in batch.column(1).to_pylist():
                 words = text.split()
                 hashes = np.fromiter(map(known.__getitem__, words), np.uint64, len(words))
-                found.append(np.concatenate([order_minhash(labelled_shingles(hashes, k), multipliers, least), deletion_keys(hashes, similarity)]))
+                found.append(text_buckets(hashes, multipliers, k, least, similarity))
                 sizes.append(len(words))
                 bins.append(np.minimum(np.bincount((hashes % np.uint64(BINS)).astype(np.int64), minlength=BINS), 127).astype(np.int8))
             offsets_of = np.concatenate([[0], np.cumsum([len(x) for x in found])]).astype(np.int32)
@@ -303,15 +313,20 @@ def near_classes(docs: DataFrame, similarity: float = SIMILARITY, k: int = SHING
     pairs = pairs.join(sides[1], "b").join(sides[0], "a").filter(may_link("a", "b", similarity)).select("a", "b")
     compared = written(compare(pairs, texts, similarity), "near-compared")
     labels = components(compared.filter("linked"))
-    for looks in (strays, second_looks):
-        seen = mixed_buckets(shared.select("bucket", "node"), labels, about)
-        if seen.isEmpty():
-            break
-        more = looks(seen, similarity).join(compared.select("a", "b"), ["a", "b"], "left_anti")
+    seen = mixed_buckets(shared.select("bucket", "node"), labels, about)
+    if not seen.isEmpty():
+        more = strays(seen, similarity).join(compared.select("a", "b"), ["a", "b"], "left_anti")
         again = written(compare(more, texts, similarity), "near-compared")
         compared = compared.unionByName(again)
         if not again.filter("linked").isEmpty():
             labels = components(compared.filter("linked"))
+            seen = mixed_buckets(seen.select("bucket", "node"), labels, about)
+        more = pairs_of_light(seen, similarity).join(compared.select("a", "b"), ["a", "b"], "left_anti")
+        again = written(compare(more, texts, similarity), "near-compared")
+        blocks = written(links_of_heavy(seen, texts, similarity), "near-links")
+        again = again.filter("linked").select("a", "b").unionByName(blocks)
+        if not again.isEmpty():
+            labels = components(compared.filter("linked").select("a", "b").unionByName(again))
     named = nodes.select("sha", "node", "low", "n").join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
     classes = named.groupBy("label").agg(F.min("low").alias("class_id"), F.sum("n").alias("class_size"))
     named = written(named.join(classes, "label").select("sha", "class_id", "class_size"), "near-classes")
@@ -332,10 +347,10 @@ def may_link(x: str, y: str, similarity: float):
 
 
 def mixed_buckets(shared: DataFrame, labels: DataFrame, about: DataFrame) -> DataFrame:
-    """The rows (bucket, node) of buckets with nodes of several classes, with ``common``, the class that most of them have."""
+    """The rows (bucket, node) of buckets with nodes of several classes: ``common``, the class that most of them have, and ``size``."""
     of = written(shared.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node")), "near-labelled")
     counts = of.groupBy("bucket", "label").agg(F.count(F.lit(1)).alias("n"))
-    mixed = counts.groupBy("bucket").agg(F.max(F.struct("n", "label"))["label"].alias("common"), F.count(F.lit(1)).alias("n")).filter("n > 1").drop("n")
+    mixed = counts.groupBy("bucket").agg(F.max(F.struct("n", "label"))["label"].alias("common"), F.sum("n").alias("size"), F.count(F.lit(1)).alias("n")).filter("n > 1").drop("n")
     return written(of.join(mixed, "bucket").join(about, "node"), "near-mixed")
 
 
@@ -353,10 +368,11 @@ def strays(seen: DataFrame, similarity: float) -> DataFrame:
     return near.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
 
 
-def second_looks(seen: DataFrame, similarity: float) -> DataFrame:
-    """Pairs (a, b) of a bucket of different classes, one of them not the bucket's common class, that lengths and bins allow."""
-    one = seen.filter("label <> common").select("bucket", *_side("x"))
-    two = seen.select(F.col("bucket").alias("_b"), F.col("common").alias("common_y"), *_side("y"))
+def pairs_of_light(seen: DataFrame, similarity: float) -> DataFrame:
+    """Pairs (a, b) of a small bucket of different classes, one of them not the bucket's common class, that lengths and bins allow."""
+    light = seen.filter(F.col("size") <= LIGHT)
+    one = light.filter("label <> common").select("bucket", *_side("x"))
+    two = light.select(F.col("bucket").alias("_b"), F.col("common").alias("common_y"), *_side("y"))
     # Two nodes that both are of other classes than the common one meet once.
     once = (F.col("label_y") == F.col("common_y")) | (F.col("x") < F.col("y"))
     may = (F.col("label_x") != F.col("label_y")) & once & may_link("x", "y", similarity)
@@ -364,6 +380,74 @@ def second_looks(seen: DataFrame, similarity: float) -> DataFrame:
     return near.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
 
 
+def links_of_heavy(seen: DataFrame, texts: DataFrame, similarity: float) -> DataFrame:
+    """Links (a, b) between the classes of each large bucket: enough of them to join what any link of it joins."""
+    heavy = seen.filter(F.col("size") > LIGHT).select("bucket", "node", "label", "common")
+    rows = heavy.join(heavy.groupBy("node").agg(F.array_sort(F.collect_list("bucket")).alias("heavy")), "node").join(texts, "node")
+    rows = written(rows.withColumn("n_bytes", F.octet_length("text").cast("long")), "near-heavy")
+    blocks = F.greatest(F.ceil(F.count(F.lit(1)) / BLOCK_NODES), F.ceil(F.sum("n_bytes") / BLOCK_BYTES)).cast("int")
+    rows = rows.join(rows.groupBy("bucket").agg(blocks.alias("blocks")), "bucket")
+    rows = rows.withColumn("own", F.pmod(F.xxhash64("node"), "blocks").cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    rows = rows.withColumn("i", F.least("own", "other")).withColumn("j", F.greatest("own", "other"))
+
+    def task(key, group):
+        import pyarrow as pa
+
+        bucket, i, j = (x.as_py() for x in key)
+        common = group.column("common")[0].as_py()
+        own, nodes, labels = (np.asarray(group.column(c)) for c in ("own", "node", "label"))
+        found = linked_nodes(bucket, common, own == i, own == j, nodes, labels, group.column("heavy").to_pylist(), group.column("text").to_pylist(), similarity)
+        return pa.table({"a": pa.array([a for a, _ in found], pa.int64()), "b": pa.array([b for _, b in found], pa.int64())})
+
+    columns = ["bucket", "i", "j", "own", "common", "node", "label", "heavy", "text"]
+    return rows.select(*columns).groupBy("bucket", "i", "j").applyInArrow(task, "a long, b long").distinct()
+
+
+def linked_nodes(bucket: int, common: int, left: np.ndarray, right: np.ndarray, nodes: np.ndarray, labels: np.ndarray, heavy: list, texts: list, similarity: float) -> list:
+    """Links between nodes marked ``left`` and nodes marked ``right`` of different classes, but for links between nodes that earlier ones join."""
+    words = [t.split() for t in texts]
+    sizes = np.array([len(w) for w in words])
+    known = _Words()
+    bins = np.zeros((len(words), BLOCK_BINS), np.int16)
+    for at, w in enumerate(words):
+        hashes = np.fromiter(map(known.__getitem__, w), np.uint64, len(w))
+        bins[at] = np.minimum(np.bincount((hashes % np.uint64(BLOCK_BINS)).astype(np.int64), minlength=BLOCK_BINS), 32767)
+    stopped = bins.max(axis=1, initial=0) == 32767
+    buckets = [frozenset(h) for h in heavy]
+    root: dict = {}
+
+    def class_of(label: int) -> int:
+        while (up := root.get(label, label)) != label:
+            root[label] = root.get(up, up)
+            label = up
+        return label
+
+    links = []
+    same = bool(np.array_equal(left, right))
+    for these, those in ((left, right),) if same else ((left, right), (right, left)):
+        others = np.flatnonzero(those)
+        theirs, their_bins, their_sizes, their_stop = labels[others], bins[others], sizes[others], stopped[others]
+        for x in np.flatnonzero(these & (labels != common)):
+            limit = np.floor((1 - similarity) * np.maximum(their_sizes, sizes[x]) + 1e-9).astype(np.int64)
+            longer = np.abs(their_sizes - sizes[x])
+            # Two nodes that both are of other classes than the common one meet once.
+            may = np.flatnonzero((theirs != labels[x]) & (longer <= limit) & ((theirs == common) | (nodes[others] > nodes[x])) & ((their_sizes > 0) == (sizes[x] > 0)))
+            if not len(may):
+                continue
+            apart = np.abs(their_bins[may] - bins[x]).sum(axis=1, dtype=np.int64)
+            bound = apart + np.where(their_stop[may] | stopped[x], 0, longer[may])
+            near = bound <= 2 * limit[may]
+            may, apart = may[near], apart[near]
+            for y in may[np.argsort(apart, kind="stable")]:
+                at = others[y]
+                if class_of(int(labels[x])) == class_of(int(labels[at])) or min(buckets[x] & buckets[at]) != bucket:
+                    continue
+                if edit_distance(words[x], words[at], int(limit[y])) <= limit[y]:
+                    root[class_of(int(labels[x]))] = class_of(int(labels[at]))
+                    links.append((int(min(nodes[x], nodes[at])), int(max(nodes[x], nodes[at]))))
+    return links
+
+
 def node_texts(docs: DataFrame, nodes: DataFrame, rows: DataFrame) -> DataFrame:
     """node, text of the nodes that share a bucket with another; other texts aren't moved."""
     wanted = written(nodes.join(rows.select("node").distinct(), "node", "left_semi").select("node", "sha"), "near-wanted")
