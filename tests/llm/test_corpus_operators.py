@@ -46,17 +46,31 @@ def test_exact_dedup(docs, keep, digest_bytes):
     for text, ids in groups.items():
         known = [i for i in ids if i is not None]
         first = (max if keep == "largest" else min)(known)
-        want += [(i, first, len(ids), i == first, hashlib.sha256(text.encode()).hexdigest()) for i in ids]
+        # Of rows equal in id and text one stays.
+        want += [(i, first, len(ids), i == first and n == ids.index(first), hashlib.sha256(text.encode()).hexdigest()) for n, i in enumerate(ids)]
     assert sorted(map(str, map(tuple, got))) == sorted(map(str, want))
 
 
-def test_index_grows_by_runs(docs):
-    index = exact_dedup.DigestIndex(docs.sparkSession)
-    index.flush(docs.filter("doc_id < 5"))
-    one = index.compact().count()
-    index.flush(docs.filter("doc_id >= 5"))
-    assert index.compact().count() > one
-    assert index.compact().agg(F.sum("group_size")).first()[0] == 10
+def test_one_of_equal_rows_stays(spark):
+    df = spark.createDataFrame([(5, "same"), (5, "same"), (4, "same"), (None, "none"), (None, "none")], "doc_id long, text string")
+    for digest_bytes in (32, 0):
+        got = exact_dedup.exact_duplicates(df, digest_bytes=digest_bytes)
+        assert sorted(map(str, got.filter("kept").select("doc_id", "group_size").collect())) == ["Row(doc_id=5, group_size=3)", "Row(doc_id=None, group_size=2)"]
+
+
+def test_index_grows_by_levels(spark):
+    texts = [f"t{i % 7}" for i in range(20)]
+    index = exact_dedup.DigestIndex(spark, fanout=2)
+    for start in range(0, 20, 4):
+        index.flush(spark.createDataFrame([(i, texts[i]) for i in range(start, start + 4)], "doc_id long, text string"))
+    # Five flushes at two a level: one run of four flushes, one flush left.
+    assert [len(level) for level in index.levels] == [1, 0, 1]
+    digest = hashlib.sha256(b"t3").digest()
+    assert tuple(index.find(digest).first()) == (digest, 3, 3) and index.find(hashlib.sha256(b"no").digest()).isEmpty()
+    level = index.compact()
+    assert level.count() == 7 and level.agg(F.sum("group_size")).first()[0] == 20 and tuple(index.find(digest).first()) == (digest, 3, 3)
+    index.flush(spark.createDataFrame([(99, "t3")], "doc_id long, text string"))
+    assert index.compact().filter(F.col("digest") == F.lit(bytearray(digest))).select("keep_id", "group_size").first()[:] == (3, 4)
 
 
 # ---- 2: toxicity ----
