@@ -4,9 +4,11 @@ A word is the mean of the vectors of its character n-grams (word boundaries mark
 mean of its words; a softmax over two classes tells the score. N-grams are hashed into a fixed number of buckets, so
 an unseen misspelling shares the vectors of the n-grams it kept. Buckets that no training text touched stay zero.
 
-The fit takes at most ``SAMPLE_ROWS`` labelled rows (the first in the order of a hash of the id) of at most
-``SAMPLE_CHARS`` characters each: that bounds what reaches the driver. Scoring covers all rows and whole texts; as
-the model is linear in the bag, each bucket weighs one number then, and what is sent out is of fixed size.
+The fit takes at most ``SAMPLE_ROWS`` labelled rows, the first in the order of a hash of the id, whole texts of any
+length. Their bags are made by tasks: one pass counts in how many toxic and other texts each bucket occurs, the next
+gives the bags of the buckets that tell something. So the driver holds neither texts nor the vocabulary, but at most
+``SAMPLE_ROWS`` short bags. Scoring covers all rows and whole texts; as the model is linear in the bag, each bucket
+weighs one number then, and what is sent out is of fixed size.
 
 Cases: null and empty texts score by the bias alone; a row without a label (or with a null one) is not learnt from;
 without any labelled row, or with one class only, the score is the share of toxic labels, or 0 without labels;
@@ -23,13 +25,17 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType, StructField, StructType
 
-from .common import slices
+from .common import slices, written
 
-SAMPLE_ROWS, SAMPLE_CHARS = 4000, 50_000
+SAMPLE_ROWS = 4000
+#: Tasks that make the bags of the sample.
+SAMPLE_TASKS = 8
 BUCKETS, DIM, LEAST_GRAM, MOST_GRAM = 1 << 17, 4, 3, 5
 #: Buckets whose share of toxic texts differs from the others' by less than so many standard errors stay zero: what
 #: they could tell is only which text it is.
 LEAST_Z = 4.0
+#: Up to so many telling buckets the bags are one dense table in the fit.
+DENSE_BUCKETS = 4096
 EPOCHS, RATE, SHRINK = 300, 0.1, 1e-7
 WORD = re.compile(r"\w+")
 CACHED_WORDS = 400_000
@@ -47,61 +53,90 @@ def grams_of(word: str) -> list[int]:
     return [*found, zlib.crc32(marked.encode() + b"#") % BUCKETS]
 
 
-def bag(texts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """The texts as rows of shares of buckets: a word shares its part of the text evenly among its subwords. (sizes, buckets, shares)"""
-    sizes, buckets, shares = [], [], []
-    seen: dict[str, np.ndarray] = {}
-    for text in texts:
-        counts: dict[str, int] = {}
-        for w in words_of(text):
-            counts[w] = counts.get(w, 0) + 1
-        n = sum(counts.values())
-        ids = [seen.get(w) if w in seen else seen.setdefault(w, np.array(grams_of(w), np.int32)) for w in counts]
+class Subwords(dict):
+    """The buckets of words seen, up to CACHED_WORDS of them."""
+
+    def __missing__(self, word: str) -> np.ndarray:
+        if len(self) >= CACHED_WORDS:
+            self.clear()
+        found = self[word] = np.array(grams_of(word), np.int32)
+        return found
+
+
+def bag(text: str | None, subwords: Subwords) -> tuple[np.ndarray, np.ndarray]:
+    """The buckets of a text and their shares: a word shares its part of the text evenly among its subwords."""
+    counts: dict[str, int] = {}
+    for w in words_of(text):
+        counts[w] = counts.get(w, 0) + 1
+    if not counts:
+        return np.zeros(0, np.int32), np.zeros(0, np.float32)
+    n, ids = sum(counts.values()), [subwords[w] for w in counts]
+    sizes = np.fromiter(map(len, ids), np.int64, len(ids))
+    share = np.repeat(np.fromiter(counts.values(), np.float64, len(ids)) / n / sizes, sizes)
+    found, where = np.unique(np.concatenate(ids), return_inverse=True)
+    return found.astype(np.int32), np.bincount(where, share).astype(np.float32)
+
+
+def count(texts, labels) -> np.ndarray:
+    """In how many of the texts each bucket occurs: other texts first, then toxic ones. The last column counts the texts."""
+    found, subwords = np.zeros((2, BUCKETS + 1), np.int64), Subwords()
+    for text, label in zip(texts, labels):
+        ids = [subwords[w] for w in set(words_of(text))]
         if ids:
-            share = np.concatenate([np.full(len(g), c / n / len(g)) for g, c in zip(ids, counts.values())])
-            found, where = np.unique(np.concatenate(ids), return_inverse=True)
-            buckets.append(found.astype(np.int32))
-            shares.append(np.bincount(where, share).astype(np.float32))
-        sizes.append(len(buckets[-1]) if ids else 0)
-        if len(seen) > CACHED_WORDS:
-            seen.clear()
-    none = [np.zeros(0, np.int32)]
-    return np.array(sizes), np.concatenate(buckets or none), np.concatenate(shares or none).astype(np.float32)
-
-
-def telling(buckets: np.ndarray, rows: np.ndarray, y: np.ndarray) -> np.ndarray:
-    """Whether each bucket occurs in significantly more, or fewer, toxic than other texts (two-proportion z test)."""
-    toxic, other = np.bincount(buckets[y[rows] == 1], minlength=BUCKETS), np.bincount(buckets[y[rows] == 0], minlength=BUCKETS)
-    n1, n0 = (y == 1).sum(), (y == 0).sum()
+            found[label, np.unique(np.concatenate(ids))] += 1
+        found[label, BUCKETS] += 1
+    return found
+
+
+def telling(counts: np.ndarray) -> np.ndarray:
+    """The buckets that occur in significantly more, or fewer, toxic than other texts (two-proportion z test), in order."""
+    (other, toxic), (n0, n1) = counts[:, :BUCKETS], np.maximum(counts[:, BUCKETS], 1)
     pooled = (toxic + other) / (n1 + n0)
     error = np.sqrt(pooled * (1 - pooled) * (1 / n1 + 1 / n0))
-    return np.abs(toxic / n1 - other / n0) >= LEAST_Z * np.maximum(error, 1e-12)
+    return np.flatnonzero(np.abs(toxic / n1 - other / n0) >= LEAST_Z * np.maximum(error, 1e-12)).astype(np.int32)
+
+
+def told(text: str | None, used: np.ndarray, subwords: Subwords) -> tuple[np.ndarray, np.ndarray]:
+    """The bag of a text, of the used buckets only, as places among them."""
+    buckets, shares = bag(text, subwords)
+    if not len(used):
+        return buckets[:0], shares[:0]
+    place = np.minimum(np.searchsorted(used, buckets), len(used) - 1)
+    kept = used[place] == buckets
+    return place[kept].astype(np.int32), shares[kept]
 
 
 def fit(texts: list[str], labels: list[int], seed: int = 7) -> tuple[np.ndarray, float]:
+    """The model of texts in memory."""
+    used, subwords = telling(count(texts, labels)), Subwords()
+    return fit_bags([told(t, used, subwords) for t in texts], labels, used, seed)
+
+
+def fit_bags(bags: list[tuple[np.ndarray, np.ndarray]], labels: list[int], used: np.ndarray, seed: int = 7) -> tuple[np.ndarray, float]:
     """Trains vectors and softmax together by full-batch Adam. Returns the weight of each bucket and the bias."""
     weights, y = np.zeros(BUCKETS), np.array(labels, int)
     if len(y) == 0 or y.min() == y.max():
         share = float(y.mean()) if len(y) else 0.0
         return weights, float(np.log(max(share, 1e-9) / max(1 - share, 1e-9)))
-    sizes, buckets, shares = bag(texts)
-    rows = np.repeat(np.arange(len(y), dtype=np.int32), sizes)
-    kept = telling(buckets, rows, y)[buckets]
-    rows, shares = rows[kept], shares[kept]
-    used, buckets = np.unique(buckets[kept], return_inverse=True)
+    rows = np.repeat(np.arange(len(y), dtype=np.int32), [len(b) for b, _ in bags])
+    buckets, shares = np.concatenate([b for b, _ in bags]), np.concatenate([s for _, s in bags]).astype(np.float32)
+    if dense := len(used) <= DENSE_BUCKETS:
+        table = np.zeros((len(y), len(used)))
+        table[rows, buckets] = shares
     rng = np.random.default_rng(seed)
     vectors, out = np.zeros((len(used), DIM)), rng.normal(0, 0.3, (DIM, 2))
     bias = np.log([1 - y.mean(), y.mean()])
     target = np.eye(2)[y]
     state = [(p, np.zeros_like(p), np.zeros_like(p)) for p in (vectors, out, bias)]
     for step in range(1, EPOCHS + 1):
-        docs = np.stack([np.bincount(rows, vectors[buckets, k] * shares, len(y)) for k in range(DIM)], 1)
+        docs = table @ vectors if dense else np.stack([np.bincount(rows, vectors[buckets, k] * shares, len(y)) for k in range(DIM)], 1)
         logits = docs @ out + bias
         p = np.exp(logits - logits.max(1, keepdims=True))
         p /= p.sum(1, keepdims=True)
         slope = (p - target) / len(y)
         back = slope @ out.T
-        to_vectors = np.stack([np.bincount(buckets, back[rows, k] * shares, len(used)) for k in range(DIM)], 1) + SHRINK * vectors
+        to_vectors = table.T @ back if dense else np.stack([np.bincount(buckets, back[rows, k] * shares, len(used)) for k in range(DIM)], 1)
+        to_vectors = to_vectors + SHRINK * vectors
         for (value, first, second), grad in zip(state, (to_vectors, docs.T @ slope, slope.sum(0))):
             first += 0.1 * (grad - first)
             second += 0.01 * (grad * grad - second)
@@ -135,19 +170,43 @@ def held_out(doc_id=None):
     return F.coalesce(F.crc32(F.col(doc_id or "doc_id").cast("string")) % 5 == 0, F.lit(False))
 
 
-def sample(docs: DataFrame, labels: DataFrame) -> tuple[list[str], list[int]]:
-    """The bounded training sample; equal ids are taken once."""
+def sample(docs: DataFrame, labels: DataFrame) -> DataFrame:
+    """The bounded training sample (doc_id, text, toxic); equal ids are taken once."""
     marks = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("toxic").cast("int").alias("toxic")).filter("toxic IS NOT NULL AND doc_id IS NOT NULL").filter(~held_out())
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.length("text").alias("n")).filter(F.col("n") <= SAMPLE_CHARS)
-    marks = marks.join(texts.select("doc_id"), "doc_id", "left_semi").groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
+    marks = marks.join(docs.select(F.col("doc_id").cast("long").alias("doc_id")), "doc_id", "left_semi").groupBy("doc_id").agg((F.max("toxic") > 0).cast("int").alias("toxic"))
     chosen = marks.orderBy(F.xxhash64(F.lit("toxicity"), "doc_id"), "doc_id").limit(SAMPLE_ROWS)
     # At most SAMPLE_ROWS ids and labels: a fixed bound.
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").filter(F.length("text") <= SAMPLE_CHARS).join(F.broadcast(chosen), "doc_id").dropDuplicates(["doc_id"]).orderBy("doc_id").collect()
-    return [r["text"] for r in rows], [r["toxic"] for r in rows]
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(chosen), "doc_id").groupBy("doc_id", "toxic").agg(F.min("text").alias("text"))
+    return written(rows.select("doc_id", "text", "toxic").repartition(SAMPLE_TASKS, "doc_id"), "toxicity-sample")
 
 
 def train(docs: DataFrame, labels: DataFrame) -> tuple[np.ndarray, float]:
-    return fit(*sample(docs, labels))
+    rows = sample(docs, labels)
+
+    def counting(batches):
+        import pyarrow as pa
+
+        found = np.zeros((2, BUCKETS + 1), np.int64)
+        for batch in slices(batches):
+            found += count(batch.column(1).to_pylist(), batch.column(2).to_pylist())
+        yield pa.RecordBatch.from_arrays([pa.array([found.astype(np.int32).tobytes()], pa.binary())], ["counts"])
+
+    # One array of fixed size from each file of the sample, SAMPLE_TASKS at most.
+    parts = [np.frombuffer(r["counts"], np.int32).reshape(2, BUCKETS + 1) for r in rows.mapInArrow(counting, "counts binary").coalesce(SAMPLE_TASKS).collect()]
+    used = telling(np.sum(parts, axis=0, dtype=np.int64)) if parts else np.zeros(0, np.int32)
+    shipped = docs.sparkSession.sparkContext.broadcast(used)
+
+    def bagging(batches):
+        import pyarrow as pa
+
+        subwords = Subwords()
+        for batch in slices(batches):
+            bags = [told(t, shipped.value, subwords) for t in batch.column(1).to_pylist()]
+            columns = [pa.array([x[i].tobytes() for x in bags], pa.binary()) for i in (0, 1)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), *columns], ["doc_id", "toxic", "buckets", "shares"])
+
+    found = rows.mapInArrow(bagging, "doc_id long, toxic int, buckets binary, shares binary").orderBy("doc_id").collect()
+    return fit_bags([(np.frombuffer(r["buckets"], np.int32), np.frombuffer(r["shares"], np.float32)) for r in found], [r["toxic"] for r in found], used)
 
 
 def score(docs: DataFrame, model: tuple[np.ndarray, float], column: str = "score") -> DataFrame:
