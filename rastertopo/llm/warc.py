@@ -2,11 +2,13 @@
 
 A record is rows of (record_id, chunk_no): chunk 0 is the WARC header block and the first piece of the payload, the
 others are further pieces of ``chunk_bytes``, and the last ends the record. Each row carries the SHA-1 of the payload up to and including it, so a
-reader checks a stream piece by piece and no task builds a whole record. The rows of a record in the order of
+reader checks a stream piece by piece. Payloads are cut where they are read, in the JVM; Python gets pieces and carries a digest, so no
+task builds a whole record. The rows of a record in the order of
 chunk_no are the bytes of a WARC 1.1 file. The table is Parquet, committed by Spark, so lost tasks leave nothing.
 
 Equal payloads of at least ``least_bytes`` bytes are stored once, in the response record of the largest page_id; the
-others become revisit records that refer to it. Payloads are equal when length, SHA-1 and SHA-256 are.
+others become revisit records that refer to it. Payloads are equal when length, SHA-1 and SHA-256 are. Only digests are
+grouped; of equal payloads one is moved, and one that no other equals stays where it was read.
 
 Cases: a null payload is empty; empty payloads are one row; rows that repeat the page_id and the
 payload of a response are responses too; an empty table gives an empty result; other columns are ignored.
@@ -20,9 +22,9 @@ import hashlib
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import scratch_path, slices, written
+from .common import KeyFilter, scratch_path, slices, written
 
-CHUNK_BYTES = 1 << 20
+CHUNK_BYTES = 1 << 14
 CHUNKS = "record_id string, serial long, page_id long, archive int, chunk_no int, last boolean, block binary, running_sha1 string"
 CRLF = b"\r\n"
 
@@ -32,11 +34,21 @@ def base32(sha1: bytes) -> str:
 
 
 def roles(pages: DataFrame, least_bytes: int = 0) -> DataFrame:
-    """pages (page_id, url, payload binary) with sha1, n_bytes and response_id: the page whose record holds the payload."""
+    """pages (page_id, url, payload binary) with sha1, n_bytes and response_id: the page whose record holds the payload.
+
+    The payload of a row that another row's record holds is null."""
     rows = pages.withColumn("n_bytes", F.octet_length("payload").cast("long")).withColumn("sha1", F.unhex(F.sha1("payload"))).withColumn("sha256", F.unhex(F.sha2("payload", 256)))
     same = ["n_bytes", "sha1", "sha256"]
     held = rows.filter(F.col("n_bytes") >= least_bytes).groupBy(*same).agg(F.max("page_id").alias("response_id"), F.count(F.lit(1)).alias("_n")).filter("_n > 1").drop("_n")
-    return rows.join(held, same, "left").withColumn("response_id", F.coalesce("response_id", "page_id")).drop("sha256")
+    held = written(held, "warc-held").withColumn("_lead", F.xxhash64("sha256", "response_id"))
+    rows = KeyFilter(held, "sha256").flag(rows.withColumn("_lead", F.xxhash64("sha256", "page_id")), "sha256", "_may")
+    rows = KeyFilter(held, "_lead").flag(rows, "_lead", "_leads").drop("_lead")
+    alone = rows.filter(~F.col("_may")).withColumn("response_id", F.col("page_id"))
+    # Rows that can't be the response go without their payload.
+    moved = rows.filter("_may").withColumn("payload", F.when(F.col("_leads") | (F.col("n_bytes") < least_bytes), F.col("payload")))
+    moved = moved.join(held.drop("_lead").hint("merge"), same, "left").withColumn("response_id", F.coalesce("response_id", "page_id"))
+    found = alone.unionByName(moved).drop("sha256", "_may", "_leads")
+    return found.withColumn("payload", F.when(F.col("response_id").eqNullSafe(F.col("page_id")), F.col("payload")))
 
 
 def write_archive(pages: DataFrame, path: str, least_bytes: int = 0, chunk_bytes: int = CHUNK_BYTES) -> None:
@@ -47,30 +59,18 @@ def write_archive(pages: DataFrame, path: str, least_bytes: int = 0, chunk_bytes
 
         names = ["record_id", "serial", "page_id", "archive", "chunk_no", "last", "block", "running_sha1"]
         types = [pa.string(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.bool_(), pa.binary(), pa.string()]
-
-        def emit(out):
-            return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out), types)], names)
-
+        running = hashlib.sha1()
         for batch in slices(batches):
-            out, held = [], 0
-            for row in range(batch.num_rows):
-                page, url, payload, length, sha1, response, archive, record, target, serial = (batch.column(c)[row] for c in range(10))
-                revisit = response.as_py() != page.as_py()
-                view = memoryview(payload.as_buffer()) if length.as_py() else memoryview(b"")
-                start = header_block(record.as_py(), url.as_py() or "", len(view), base32(sha1.as_py()), target.as_py() if revisit else None)
-                view = view[:0] if revisit else view
-                running = hashlib.sha1()
-                for number, place in enumerate(range(0, max(len(view), 1), chunk_bytes)):
-                    piece = bytes(view[place : place + chunk_bytes])
-                    running.update(piece)
-                    last = place + chunk_bytes >= len(view)
-                    out.append((record.as_py(), serial.as_py(), page.as_py(), archive.as_py(), number, last, start + piece + CRLF * 2 * last, base32(running.digest())))
-                    start, held = b"", held + len(piece)
-                    if held > 8 * chunk_bytes:
-                        yield emit(out)
-                        out, held = [], 0
+            out = []
+            for page, url, length, sha1, response, archive, record, target, serial, number, last, piece in zip(*(c.to_pylist() for c in batch.columns)):
+                start = b""
+                if number == 0:
+                    running = hashlib.sha1()
+                    start = header_block(record, url or "", length, base32(sha1), target if response != page else None)
+                running.update(piece)
+                out.append((record, serial, page, archive, number, last, start + piece + CRLF * 2 * last, base32(running.digest())))
             if out:
-                yield emit(out)
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out), types)], names)
 
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), "url", F.encode(F.coalesce("html", F.lit("")), "UTF-8").alias("payload"))
     found = roles(rows, least_bytes)
@@ -80,10 +80,13 @@ def write_archive(pages: DataFrame, path: str, least_bytes: int = 0, chunk_bytes
         return F.concat(F.lit("urn:uuid:"), *[x for k, (a, b) in enumerate(((1, 8), (9, 4), (13, 4), (17, 4), (21, 12))) for x in ((F.lit("-"),) if k else ()) + (F.substring(digest, a, b),)])
 
     found = found.withColumn("record_id", name(F.col("page_id"), F.col("sha1"))).withColumn("target", name(F.col("response_id"), F.col("sha1")))
-    found = found.withColumn("archive", F.pmod(F.xxhash64("record_id"), F.lit(64)).cast("int"))
-    columns = ["page_id", "url", "payload", "n_bytes", "sha1", "response_id", "archive", "record_id", "target", "serial"]
-    found = found.withColumn("serial", F.monotonically_increasing_id())
-    found.select(*columns).mapInArrow(task, CHUNKS).write.parquet(path)
+    found = found.withColumn("archive", F.pmod(F.xxhash64("record_id"), F.lit(64)).cast("int")).withColumn("serial", F.monotonically_increasing_id())
+    last = f"cast(greatest(octet_length(payload) - 1, 0) div {chunk_bytes} as int)"
+    pieces = f"transform(sequence(0, coalesce({last}, 0)), i -> coalesce(substring(payload, i * {chunk_bytes} + 1, {chunk_bytes}), cast('' as binary)))"
+    columns = ["page_id", "url", "n_bytes", "sha1", "response_id", "archive", "record_id", "target", "serial"]
+    # The pieces of a record follow each other in the task that cuts them.
+    cut = found.select(*columns, F.expr(f"coalesce({last}, 0)").alias("_last"), F.posexplode(F.expr(pieces)).alias("chunk_no", "piece"))
+    cut.select(*columns, "chunk_no", (F.col("chunk_no") == F.col("_last")).alias("last"), "piece").mapInArrow(task, CHUNKS).write.parquet(path)
 
 
 def header_block(record: str, url: str, length: int, digest: str, target: str | None) -> bytes:
