@@ -11,7 +11,7 @@ from .line_dedup import line_deduplicated
 from .mixing import MIX_SQL, mix
 from .near_dedup import near_classes
 from .pieces import tokens
-from .tool_calls import CHAT_SQL, format_chats
+from .tool_calls import CHAT_SQL, derived, format_chats
 from .toxicity import scores
 from .warc import WARC_SQL, round_trip
 from .winnowing import edited_fingerprints
@@ -36,13 +36,13 @@ def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 #: Schemas of the tools that conversations may call.
 TOOLS = {
-    "search": {"type": "object", "properties": {"query": {"type": "string", "minLength": 1}, "limit": {"type": "integer", "minimum": 1}}, "required": ["query"], "additionalProperties": False},
+    "search": {"type": "object", "properties": {"query": {"type": "string", "minLength": 1}, "limit": {"type": "integer", "minimum": 1, "maximum": 200}}, "required": ["query"], "additionalProperties": False},
     "calculate": {"type": "object", "properties": {"expression": {"type": "string"}}, "required": ["expression"], "additionalProperties": False},
 }
 
 
 def op3_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return format_chats(table(spark, sf_dir, "conversations"), TOOLS).drop("errors")
+    return format_chats(derived(table(spark, sf_dir, "conversations")), TOOLS).drop("errors")
 
 
 def op4_winnowing(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -10,7 +10,11 @@ The order is topological: a result comes after its call, and a call after the re
 that respects this and the turns; keys spread along dependencies, a round for each link of the longest chain. Records
 of a cycle keep their own turn and say so. A conversation is never gathered: its records sort by their keys.
 
-Cases: null texts are empty content, null turns come first; text that isn't the JSON above is plain content; an
+``derived`` makes calls and results of plain conversations, which hold none.
+
+Cases: null texts are empty content, null turns come first; text that isn't the JSON above, or nests deeper than
+``MOST_DEPTH``, is plain content; numbers that aren't finite are null in records and fit no number type; halves of
+surrogate pairs are written as escapes; a name that isn't a string is an unknown tool; an
 identifier used several times links its n-th call to its n-th result; calls without result and results without call
 stay and have no link; equal rows are records each; an empty table gives an empty result; other columns are ignored.
 """
@@ -18,6 +22,8 @@ stay and have no link; equal rows are records each; an empty table gives an empt
 from __future__ import annotations
 
 import json
+import math
+import re
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -25,6 +31,9 @@ from pyspark.sql import functions as F
 from .common import slices, written
 
 NODES = "conv_id long, turn long, part int, kind string, ident string, after array<string>, valid boolean, errors array<string>, record string"
+#: The deepest nesting of JSON that is read as such.
+MOST_DEPTH = 100
+HALVES = re.compile("[\ud800-\udfff]")
 TYPES = {"object": dict, "array": list, "string": str, "boolean": bool, "null": type(None)}
 
 
@@ -36,10 +45,15 @@ def canonical(value) -> str:
     if isinstance(value, list):
         return "[" + ",".join(map(canonical, value)) + "]"
     if isinstance(value, float):
-        if value != value or value in (float("inf"), float("-inf")):
+        if not math.isfinite(value):
             return "null"
         return str(int(value)) if value == int(value) and abs(value) < 1e21 else repr(value).replace("e-0", "e-").replace("e+0", "e+")
-    return json.dumps(value, ensure_ascii=False)
+    return whole(json.dumps(value, ensure_ascii=False))
+
+
+def whole(text: str) -> str:
+    """The text with halves of surrogate pairs as escapes, so that it has a UTF-8 form."""
+    return HALVES.sub(lambda m: f"\\u{ord(m[0]):04x}", text)
 
 
 def problems(value, schema: dict, path: str = "$") -> list[str]:
@@ -48,7 +62,7 @@ def problems(value, schema: dict, path: str = "$") -> list[str]:
     kinds = schema.get("type")
     if kinds is not None:
         kinds = kinds if isinstance(kinds, list) else [kinds]
-        number = isinstance(value, (int, float)) and not isinstance(value, bool)
+        number = isinstance(value, (int, float)) and not isinstance(value, bool) and math.isfinite(value)
         fits = any(number and (k == "number" or value == int(value)) if k in ("number", "integer") else isinstance(value, TYPES.get(k, ())) for k in kinds)
         if not fits:
             return [f"{path}: not {' or '.join(kinds)}"]
@@ -86,6 +100,12 @@ def _loaded(text: str):
         value = json.loads(text)
     except (ValueError, RecursionError):
         return None
+    level, depth = [value], 0
+    while level:
+        level = [x for v in level for x in (v.values() if isinstance(v, dict) else v if isinstance(v, list) else ())]
+        depth += 1
+        if depth > MOST_DEPTH:
+            return None
     return value if isinstance(value, dict) else None
 
 
@@ -101,7 +121,7 @@ def parse(conv: int | None, turn: int | None, role: str | None, text: str | None
     base = {"conv_id": conv, "turn": turn}
     value = _loaded(text) if text and text.lstrip()[:1] == "{" and role in ("assistant", "tool") else None
     if role == "tool" and value is not None and isinstance(value.get("tool_call_id"), str):
-        ident = value["tool_call_id"]
+        ident = whole(value["tool_call_id"])
         record = base | {"kind": "result", "id": ident, "content": value.get("content")}
         return [(0, "result", ident, [], None, [], canonical(record))]
     calls = value.get("tool_calls") if value is not None and role == "assistant" else None
@@ -114,13 +134,14 @@ def parse(conv: int | None, turn: int | None, role: str | None, text: str | None
         if isinstance(arguments, str):
             arguments = _loaded(arguments)
         errors = [] if isinstance(arguments, dict) else ["$: arguments are no object"]
-        if name not in schemas:
+        if not isinstance(name, str) or name not in schemas:
             errors.append("unknown tool")
         elif not errors:
             errors = problems(arguments, schemas[name])
         named = call.get("after")
-        after = sorted({x for x in (named if isinstance(named, list) else []) if isinstance(x, str)} | set(_references(arguments)))
-        ident = ident if isinstance(ident, str) else None
+        after = sorted({whole(x) for x in [*(y for y in (named if isinstance(named, list) else []) if isinstance(y, str)), *_references(arguments)]})
+        ident = whole(ident) if isinstance(ident, str) else None
+        errors = [whole(x) for x in errors]
         record = base | {"kind": "call", "id": ident, "name": name, "arguments": arguments, "valid": not errors}
         rows.append((part, "call", ident, after, not errors, errors, canonical(record)))
     return rows
@@ -191,9 +212,44 @@ def order_keys(rows: DataFrame, edges: DataFrame) -> DataFrame:
     return done
 
 
+def derived(messages: DataFrame) -> DataFrame:
+    """Plain conversations with a tool call for each question that is answered.
+
+    All messages stay. A message of the user at turn t with one of the assistant at turn t + 1 also becomes a call of
+    the tool "search" at turn t, with the identifier "c" and t, and the answer becomes its result at turn t + 1. Where
+    t / 2 rounded down is even, the call needs the result of the call of turn t + 2, if there is one, so the order
+    differs from that of the turns."""
+    turn = F.col("turn").cast("long")
+    rows = messages.select("conv_id", turn.alias("turn"), "role", "text")
+    keys = lambda role, step: rows.filter(F.col("role") == role).select("conv_id", (F.col("turn") + step).alias("turn")).distinct()
+    asked = rows.filter("role = 'user'").join(keys("assistant", -1), ["conv_id", "turn"], "left_semi")
+    answers = rows.filter("role = 'assistant'").join(keys("user", 1), ["conv_id", "turn"], "left_semi")
+    ident = lambda step: F.concat(F.lit("c"), (F.col("turn") + step).cast("string"))
+    after = F.when(F.expr("turn div 2 % 2 = 0"), F.array(ident(2))).otherwise(F.array())
+    arguments = F.struct(F.length("text").alias("limit"), F.col("text").alias("query"))
+    call = F.struct(ident(0).alias("id"), F.lit("search").alias("name"), arguments.alias("arguments"), after.alias("after"))
+    calls = asked.select("conv_id", "turn", F.lit("assistant").alias("role"), F.to_json(F.struct(F.array(call).alias("tool_calls"))).alias("text"))
+    result = F.struct(ident(-1).alias("tool_call_id"), F.col("text").alias("content"))
+    results = answers.select("conv_id", "turn", F.lit("tool").alias("role"), F.to_json(result, {"ignoreNullFields": "false"}).alias("text"))
+    return rows.unionByName(calls).unionByName(results)
+
+
 CHAT_SQL = """
-SELECT conv_id, turn, 0 AS part, 'message' AS kind, turn AS order_turn, 0 AS order_depth, NULL::BIGINT AS linked_turn,
-  NULL::BOOLEAN AS valid, false AS cyclic,
+WITH messages AS (SELECT conv_id, turn, role, text, text IS NOT NULL AND length(text) BETWEEN 1 AND 200 AS fits FROM conversations),
+asked AS (SELECT q.conv_id, q.turn, q.text, q.fits, a.text AS answer FROM messages q JOIN messages a ON a.conv_id = q.conv_id AND a.turn = q.turn + 1
+  WHERE q.role = 'user' AND a.role = 'assistant'),
+-- A call that needs a later result comes right after it, and its own result after the call.
+moved AS (SELECT x.*, y.turn + 1 AS needed FROM asked x LEFT JOIN asked y ON y.conv_id = x.conv_id AND y.turn = x.turn + 2 AND x.turn // 2 % 2 = 0)
+SELECT conv_id, turn, 0 AS part, 'message' AS kind, turn AS order_turn, 0 AS order_depth, NULL::BIGINT AS linked_turn, NULL::BOOLEAN AS valid, false AS cyclic,
   '{"content":' || to_json(coalesce(text, ''))::VARCHAR || ',"conv_id":' || conv_id || ',"kind":"message","role":' || to_json(role)::VARCHAR || ',"turn":' || turn || '}' AS record
-FROM conversations
+FROM messages
+UNION ALL
+SELECT conv_id, turn, 0, 'message', turn, 0, NULL, NULL, false, '{"content":"","conv_id":' || conv_id || ',"kind":"message","role":"assistant","turn":' || turn || '}' FROM moved
+UNION ALL
+SELECT conv_id, turn, 1, 'call', coalesce(needed, turn), CASE WHEN needed IS NULL THEN 0 ELSE 1 END, turn + 1, fits, false,
+  '{"arguments":{' || coalesce('"limit":' || length(text) || ',"query":' || to_json(text)::VARCHAR, '') || '},"conv_id":' || conv_id || ',"id":"c' || turn
+    || '","kind":"call","name":"search","turn":' || turn || ',"valid":' || fits || '}' FROM moved
+UNION ALL
+SELECT conv_id, turn + 1, 0, 'result', coalesce(needed, turn + 1), CASE WHEN needed IS NULL THEN 0 ELSE 2 END, turn, NULL, false,
+  '{"content":' || coalesce(to_json(answer)::VARCHAR, 'null') || ',"conv_id":' || conv_id || ',"id":"c' || turn || '","kind":"result","turn":' || turn + 1 || '}' FROM moved
 """
