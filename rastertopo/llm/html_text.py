@@ -3,9 +3,10 @@
 A page becomes a tree. Parts that never hold the article (menus, headers, footers, asides, forms, adverts, notices,
 reader comments, scripts, hidden parts) are pruned by tag, role, class and id. Of every remaining node the characters,
 tags, link characters and link tags are counted; its density is its characters per tag, weighed by a logarithm that
-falls with the share of links. The node whose children's densities sum highest is the kernel of the article. If a
-declared article or main element encloses it, that element is taken; else the least density on the path from the
-kernel to the body is the threshold, and in every subtree that reaches it the node of the highest sum is taken.
+falls with the share of links. The node whose children's densities sum highest is the kernel; the least density on
+the path from it to the body is the threshold, and in every subtree that reaches the threshold the node of the highest
+sum is taken. A taken node within a declared article or main element stands for the innermost such element, so that
+headings and short paragraphs beside it aren't lost; several articles of a page all come, in page order.
 
 Cases: null and empty pages give an empty text; a page without tags is all text; broken, unclosed and cut off markup
 is read as browsers do; character references are decoded; a repeated page_id is a row of its own; other columns are
@@ -49,7 +50,12 @@ PRUNED_ROLES = frozenset("navigation banner contentinfo complementary search for
 PRUNED_WORDS = frozenset(
     "ad ads adv advert adverts advertisement advertising adsense adslot banner sponsor sponsors sponsored promo promos promotion promoted cookie cookies consent gdpr notice notices popup modal overlay newsletter subscribe subscription sidebar sidebars widget widgets related recommended recommendations share sharing social comment comments commentlist disqus respond reply replies nav navbar navigation menu menus breadcrumb breadcrumbs footer masthead login signup signin pagination pager toolbar skip outbrain taboola".split()
 )
-KEPT_WORDS = frozenset("content article main post body entry story text".split())
+#: Words that say what a part is made of; a name of these and words above is boilerplate, "share-price" isn't.
+FRAME_WORDS = frozenset(
+    "a area bar block bottom box btn button buttons col column container content desktop feed footer form full global group grid header icon icons inner item items left link links list main media mobile outer page panel posts primary right row secondary section site slot small sticky text the title to top unit widget wrap wrapper".split()
+)
+COMMENT_WORDS = frozenset("comment comments commentlist reply replies".split())
+KEPT_WORDS = frozenset("article main post body entry story".split())
 DECLARED = frozenset(("article", "main"))
 
 
@@ -60,18 +66,27 @@ def _attributes(text: str) -> dict[str, str]:
 def _boilerplate(tag: str, attributes: dict[str, str], in_article: bool) -> bool:
     if tag in PRUNED_TAGS or tag == "header" and not in_article:
         return True
-    if not attributes or tag in ("html", "body", "article", "main"):
+    if not attributes or tag in ("html", "body"):
         return False
     if "hidden" in attributes or attributes.get("aria-hidden") == "true" or re.search(r"display\s*:\s*none", attributes.get("style", "")):
         return True
     if attributes.get("role", "").lower() in PRUNED_ROLES:
         return True
+    if tag in DECLARED and attributes.get("itemprop", "").lower() == "comment":
+        return True
     for key in ("class", "id"):
         for name in attributes.get(key, "").split():
-            words = {w.lower() for w in WORD.findall(name)}
-            if words & PRUNED_WORDS and not words & KEPT_WORDS:
+            words = [w.lower() for w in WORD.findall(name)]
+            told = [w for w in words if w not in FRAME_WORDS and not w.isdigit()]
+            if tag in DECLARED:
+                # An article is one unless it says that it is a reader's comment.
+                if words and words[0] in COMMENT_WORDS and not set(words) & KEPT_WORDS:
+                    return True
+                continue
+            listed = [w for w in words if w in PRUNED_WORDS]
+            if listed and all(w in PRUNED_WORDS for w in told):
                 return True
-            if not in_article and words & {"header"} and not words & KEPT_WORDS:
+            if not in_article and "header" in words and not set(words) & KEPT_WORDS:
                 return True
     return False
 
@@ -157,8 +172,9 @@ class Page:
             if self.drop[i] or not chars[i]:
                 continue
             c, t, lc, lt = chars[i], max(tags[i], 1), max(link_chars[i], 1), max(link_tags[i], 1)
-            base = math.log(c / max(c - link_chars[i], 1) * link_chars[i] + body_links * c + math.e)
-            density[i] = c / t * math.log(max(c / lc * t / lt, 1e-9)) / math.log(max(base, 1.0) + 1e-9 + 1) if c > link_chars[i] else 0.0
+            # The base is at least ln(1 + e), as a link counts one character at least.
+            base = math.log(c / max(c - link_chars[i], 1) * lc + body_links * c + math.e)
+            density[i] = c / t * math.log(max(c / lc * t / lt, 1e-9)) / math.log(base) if c > link_chars[i] else 0.0
             if (p := self.parent[i]) >= 0:
                 sums[p] += max(density[i], 0.0)
         return density, sums
@@ -171,31 +187,32 @@ class Page:
         path = [kernel]
         while self.parent[path[-1]] >= 0:
             path.append(self.parent[path[-1]])
-        for i in reversed(path):
-            if self.tag[i] in DECLARED:
-                return [i]
-        inside = [i for i in range(n) if self.tag[i] in DECLARED and not self.drop[i]]
-        if inside:
-            best = max(inside, key=lambda i: (sums[i] + density[i], -i))
-            if density[best] > 0:
-                return [best]
         threshold = min(density[i] for i in path)
         best = list(range(n))
         for i in range(n - 1, 0, -1):
             p = self.parent[i]
             if sums[best[i]] > sums[best[p]] or sums[best[i]] == sums[best[p]] and best[p] != p and best[i] < best[p]:
                 best[p] = best[i]
-        marked = sorted({best[i] for i in range(n) if not self.drop[i] and density[i] >= threshold and density[i] > 0} or {kernel})
-        inside_mark = [False] * n
-        chosen = set(marked)
+        taken = {best[i] for i in range(n) if not self.drop[i] and density[i] >= threshold and density[i] > 0} or {kernel}
+        chosen = {self.article_of(i) for i in taken}
+        inside = [False] * n
         roots = []
         for i in range(n):
             p = self.parent[i]
-            inside_mark[i] = p >= 0 and (inside_mark[p] or p in chosen)
-            if i in chosen and not inside_mark[i]:
+            inside[i] = p >= 0 and (inside[p] or p in chosen)
+            if i in chosen and not inside[i]:
                 roots.append(i)
         return roots
 
+    def article_of(self, node: int) -> int:
+        """The innermost declared element around a node, or the node."""
+        at = node
+        while at >= 0:
+            if self.tag[at] in DECLARED:
+                return at
+            at = self.parent[at]
+        return node
+
     def text(self, roots: list[int]) -> str:
         parts: list[str] = []
         work: list = list(reversed(roots))

@@ -137,6 +137,26 @@ def test_calls_are_linked_ordered_and_validated(spark):
     assert tool_calls.format_chats(df.limit(0), SCHEMAS).isEmpty()
 
 
+@pytest.mark.parametrize(
+    "arguments", ['{"n": 1e999}', '{"n": NaN}', '{"q": "\\ud800"}', '{"q": ' + "[" * 3000 + "]" * 3000 + "}", '{"q": "$\\udfff"}'], ids=["infinite", "nan", "half", "deep", "half-reference"]
+)
+def test_odd_calls_stay(arguments):
+    """Numbers that aren't finite, halves of surrogate pairs and deep nesting don't stop a job."""
+    for name in ('"find"', "[]", "null"):
+        text = '{"tool_calls": [{"id": "a\\ud801", "name": ' + name + ', "arguments": ' + arguments + "}]}"
+        rows = tool_calls.parse(1, 2, "assistant", text, SCHEMAS)
+        assert rows[0][1] == "message" and all(x is None or isinstance(x, (int, bool, list)) or x.encode() for row in rows for x in row)
+        assert len(rows) == (1 if len(arguments) > 1000 else 2) and (len(rows) == 1 or rows[1][4] is (name == '"find"' and arguments.startswith('{"q"')))
+
+
+def test_chat_rows_of_odd_tables(spark):
+    rows = [(1, 0, "user", "x"), (1, 0, "user", "x"), (1, 1, "assistant", "y" * 200_000), (1, 1, "assistant", None), (2, 0, "user", None), (2, 1, "assistant", ""), (None, None, None, None)]
+    df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").withColumn("kind", F.lit("mine")).withColumn("id", F.lit(1)).withColumn("part", F.lit(None).cast("int"))
+    got = tool_calls.format_chats(tool_calls.derived(df), {"search": {"type": "object", "required": ["query"]}}).collect()
+    assert sorted(r["kind"] for r in got) == ["call"] * 3 + ["message"] * 10 + ["result"] * 3
+    assert sorted(r["linked_turn"] for r in got if r["kind"] == "call") == [1, 1, 1] and sum(r["valid"] is True for r in got) == 2
+
+
 def test_canonical_json():
     assert tool_calls.canonical({"b": 1.0, "a": [True, None, "é\n", 1e21, 0.1]}) == '{"a":[true,null,"é\\n",1e+21,0.1],"b":1}'
 
@@ -481,6 +501,29 @@ def test_deep_and_long_pages(pages):
     assert got.count() == pages.count() and got.filter("n_chars <> length(text)").isEmpty() and html_text.extract(pages.limit(0)).isEmpty()
 
 
+LINE = "lorem ipsum dolor sit amet consectetur " * 12
+
+
+@pytest.mark.parametrize(
+    "page,there,gone",
+    [
+        (f"<article><p>{LINE}one</p><p>{LINE}</p></article><article><p>{LINE}two</p><p>{LINE}</p></article>", ["one", "two"], []),
+        (f"<div id=post><h2>Story</h2><p>{LINE}one</p><p>{LINE}</p></div><article class='comment'><p>{LINE}mine</p></article>", ["Story", "one"], ["mine"]),
+        (f"<article><p>{LINE}one</p><div class='share-price'>9.99</div><div class='share-buttons'>tell</div><article class='comment'>mine</article></article>", ["one", "9.99"], ["tell", "mine"]),
+        (f"<main><h1>Head</h1><article><p>{LINE}</p><p>short.</p></article><section class='related-posts'><a href=x>{LINE}more</a></section></main>", ["short."], ["more"]),
+        (f"<div><h1>Title</h1><p>{LINE}</p><p>x.</p><p>{LINE}</p></div><ul><li><a href=1>uno</a><li><a href=2>dos</a></ul>", ["Title", "x."], ["uno", "dos"]),
+    ],
+)
+def test_article_by_density(page, there, gone):
+    text = html_text.main_text(f"<html><body><nav><a href=a>menu</a></nav>{page}</body></html>")
+    assert all(x in text for x in there) and not any(x in text for x in [*gone, "menu"])
+
+
+def test_pages_with_clashing_columns(spark):
+    df = spark.createDataFrame([(1, None, None, "t", 3), (1, None, None, "t", 3), (None, "u", "", None, None)], "page_id long, url string, html string, text string, n_chars int")
+    assert sorted(map(str, html_text.extract(df).select("text", "n_chars").collect())) == ["Row(text='', n_chars=0)"] * 3
+
+
 # ---- 10: line dedup ----
 
 
