@@ -4,14 +4,14 @@ Each text is a sequence of five-word shingles, each labelled with how often it o
 one hash function, the ``LEAST`` smallest labelled shingles and keeps them in text order; as the order counts, the
 chance of equal sketches follows the edit similarity. Texts with a sketch in common (a bucket) are candidates: with a
 share s of common shingles two texts meet with a chance of about 1 - (1 - s ** LEAST) ** SKETCHES. Where one word in
-five was replaced, the threshold of a link, s is near 0.2 and the chance near 0.99. Of short texts an edit may leave
+five was replaced, the threshold of a link, s is near 0.2 and the chance above 0.9. Of short texts an edit may leave
 hardly a shingle: up to ``SHORT_WORDS`` words they have sketches of two-word shingles as well, and where at most
 ``SHORT_EDITS`` edits are allowed, texts also share a bucket for each sequence of words left by that many deletions.
 
 Two texts are linked when their word edit distance is at most ``1 - SIMILARITY`` of the longer one's words, found by a
 bit-parallel alignment that only looks at the band in which this is possible. Classes are the connected components.
 
-No group is expanded into its pairs. Equal texts are one node. In the buckets of the first ``STAR_SKETCHES`` sketches the
+No group is expanded into its pairs. Equal texts are one node. In one of ``STAR_SHARE`` buckets, as their keys fall, the
 smallest node is compared with the others, which already joins large groups of near copies; then, in buckets with nodes
 of several classes, the nodes that are not of the bucket's most common class are compared with one node of that class.
 Of what buckets are mixed still, those of at most ``LIGHT`` nodes give a pair for each node and node of another class
@@ -36,11 +36,11 @@ from pyspark.sql import functions as F
 
 from .common import KeyFilter, slices, text_or_empty, written
 
-SHINGLE, SKETCHES, LEAST, SIMILARITY = 5, 128, 2, 0.8
+SHINGLE, SKETCHES, LEAST, SIMILARITY = 5, 112, 2, 0.8
 #: Texts of so many words at most also have ``SHORT_SKETCHES`` sketches of ``SHORT_LEAST`` shingles of two words.
-SHORT_WORDS, SHORT_SHINGLE, SHORT_SKETCHES, SHORT_LEAST = 48, 2, 64, 3
-#: Sketches whose buckets are compared with their smallest node first.
-STAR_SKETCHES = 8
+SHORT_WORDS, SHORT_SHINGLE, SHORT_SKETCHES, SHORT_LEAST = 64, 2, 64, 3
+#: One in so many buckets is compared with its smallest node first.
+STAR_SHARE = 14
 #: Bins of hashed words by which pairs are ruled out before they are aligned.
 BINS = 256
 #: Links of so few edits at most are found by what deletions leave of the texts, besides sketches.
@@ -48,9 +48,9 @@ SHORT_EDITS = 2
 #: Shingles hashed under all functions at once (bounds the memory of a task).
 BLOCK = 1 << 13
 #: Buckets of more nodes of several classes are compared in blocks.
-LIGHT = 24
+LIGHT = 16
 #: The most nodes and the bytes of text of a block (one longer text is a block of its own).
-BLOCK_NODES, BLOCK_BYTES, BLOCK_BINS = 1024, 4 << 20, 1024
+BLOCK_NODES, BLOCK_BYTES, BLOCK_BINS = 1024, 4 << 20, 512
 SHORT_SALT = np.int64(0x2545F4914F6CDD1D)
 
 
@@ -158,7 +158,8 @@ def edit_distance(a: list, b: list, most: int) -> int:
             shared += 1
     if len(a) - shared > most:
         return most + 1
-    band = max(16, len(a) - len(b))
+    # No band below the bound can do.
+    band = max(16, len(a) - shared)
     while True:
         band = min(band, most)
         found = banded_distance(a, b, band)
@@ -299,30 +300,28 @@ def components(edges: DataFrame) -> DataFrame:
 
 def near_classes(docs: DataFrame, similarity: float = SIMILARITY, k: int = SHINGLE, m: int = SKETCHES, least: int = LEAST) -> DataFrame:
     """One row for each row of docs (doc_id, text): doc_id, class_id (the smallest doc_id of the class), class_size, sha."""
-    found = written(sketches(docs, k, m, least, similarity=similarity), "near-sketches")
+    digests = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.unhex(F.sha2(text_or_empty(), 256)).alias("sha"))
     same = [F.any_value(c).alias(c) for c in ("n_words", "bins", "buckets")]
-    nodes = found.groupBy("sha").agg(F.min("doc_id").alias("low"), F.count(F.lit(1)).alias("n"), *same)
+    nodes = sketches(docs, k, m, least, similarity=similarity).groupBy("sha").agg(F.min("doc_id").alias("low"), F.count(F.lit(1)).alias("n"), *same)
     nodes = written(nodes.withColumn("node", F.monotonically_increasing_id()), "near-nodes")
-    rows = nodes.select("node", F.posexplode("buckets").alias("sketch", "bucket"))
+    rows = nodes.select("node", F.explode("buckets").alias("bucket"))
     heads = rows.groupBy("bucket").agg(F.min("node").alias("head"), F.count(F.lit(1)).alias("_n")).filter("_n > 1").drop("_n")
     shared = written(rows.join(heads, "bucket"), "near-buckets")
     texts = node_texts(docs, nodes, shared)
     about = nodes.select("node", "n_words", "bins")
-    pairs = shared.filter((F.col("sketch") < STAR_SKETCHES) & (F.col("node") != F.col("head"))).select(F.col("head").alias("a"), F.col("node").alias("b")).distinct()
-    sides = [about.select(F.col("node").alias(s), F.col("n_words").alias(f"n_words_{s}"), F.col("bins").alias(f"bins_{s}")) for s in "ab"]
-    pairs = pairs.join(sides[1], "b").join(sides[0], "a").filter(may_link("a", "b", similarity)).select("a", "b")
-    compared = written(compare(pairs, texts, similarity), "near-compared")
+    pairs = shared.filter((F.pmod("bucket", F.lit(STAR_SHARE)) == 0) & (F.col("node") != F.col("head"))).select(F.col("head").alias("a"), F.col("node").alias("b")).distinct()
+    compared = written(compare(allowed(pairs, about, similarity), texts, similarity), "near-compared")
     labels = components(compared.filter("linked"))
-    seen = mixed_buckets(shared.select("bucket", "node"), labels, about)
+    seen = mixed_buckets(shared.select("bucket", "node"), labels)
     if not seen.isEmpty():
-        more = strays(seen, similarity).join(compared.select("a", "b"), ["a", "b"], "left_anti")
-        again = written(compare(more, texts, similarity), "near-compared")
+        more = strays(seen).join(compared.select("a", "b"), ["a", "b"], "left_anti")
+        again = written(compare(allowed(more, about, similarity), texts, similarity), "near-compared")
         compared = compared.unionByName(again)
         if not again.filter("linked").isEmpty():
             labels = components(compared.filter("linked"))
-            seen = mixed_buckets(seen.select("bucket", "node"), labels, about)
-        more = pairs_of_light(seen, similarity).join(compared.select("a", "b"), ["a", "b"], "left_anti")
-        again = written(compare(more, texts, similarity), "near-compared")
+            seen = mixed_buckets(seen.select("bucket", "node"), labels)
+        more = pairs_of_light(seen).join(compared.select("a", "b"), ["a", "b"], "left_anti")
+        again = written(compare(allowed(more, about, similarity), texts, similarity), "near-compared")
         blocks = written(links_of_heavy(seen, texts, similarity), "near-links")
         again = again.filter("linked").select("a", "b").unionByName(blocks)
         if not again.isEmpty():
@@ -330,7 +329,7 @@ def near_classes(docs: DataFrame, similarity: float = SIMILARITY, k: int = SHING
     named = nodes.select("sha", "node", "low", "n").join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
     classes = named.groupBy("label").agg(F.min("low").alias("class_id"), F.sum("n").alias("class_size"))
     named = written(named.join(classes, "label").select("sha", "class_id", "class_size"), "near-classes")
-    return found.select("doc_id", "sha").join(named, "sha").select("doc_id", "class_id", "class_size", "sha")
+    return digests.join(named, "sha").select("doc_id", "class_id", "class_size", "sha")
 
 
 def may_link(x: str, y: str, similarity: float):
@@ -346,47 +345,46 @@ def may_link(x: str, y: str, similarity: float):
     return (longer <= limit) & (apart + F.when(full | other, 0).otherwise(longer) <= 2 * limit)
 
 
-def mixed_buckets(shared: DataFrame, labels: DataFrame, about: DataFrame) -> DataFrame:
+def allowed(pairs: DataFrame, about: DataFrame, similarity: float) -> DataFrame:
+    """The pairs (a, b) that lengths and bins allow to be links."""
+    one, two = (about.select(F.col("node").alias(s), F.col("n_words").alias(f"n_words_{s}"), F.col("bins").alias(f"bins_{s}")) for s in "ab")
+    return pairs.join(two, "b").join(one, "a").filter(may_link("a", "b", similarity)).select("a", "b")
+
+
+def mixed_buckets(shared: DataFrame, labels: DataFrame) -> DataFrame:
     """The rows (bucket, node) of buckets with nodes of several classes: ``common``, the class that most of them have, and ``size``."""
     of = written(shared.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node")), "near-labelled")
     counts = of.groupBy("bucket", "label").agg(F.count(F.lit(1)).alias("n"))
     mixed = counts.groupBy("bucket").agg(F.max(F.struct("n", "label"))["label"].alias("common"), F.sum("n").alias("size"), F.count(F.lit(1)).alias("n")).filter("n > 1").drop("n")
-    return written(of.join(mixed, "bucket").join(about, "node"), "near-mixed")
-
-
-def _side(side: str) -> list:
-    return [F.col("node").alias(side), *[F.col(c).alias(f"{c}_{side}") for c in ("n_words", "bins", "label")]]
+    return written(of.join(mixed, "bucket"), "near-mixed")
 
 
-def strays(seen: DataFrame, similarity: float) -> DataFrame:
+def strays(seen: DataFrame) -> DataFrame:
     """Pairs (a, b) of a node of another class than its bucket's common one with the smallest node of that one."""
-    first = seen.filter("label = common").groupBy("bucket").agg(F.min(F.struct("node", "n_words", "bins", "label")).alias("h"))
-    first = first.select("bucket", "h.*")
-    one = seen.filter("label <> common").select("bucket", *_side("x"))
-    two = first.select(F.col("bucket").alias("_b"), *_side("y"))
-    near = one.join(two, (F.col("bucket") == F.col("_b")) & may_link("x", "y", similarity))
+    first = seen.filter("label = common").groupBy("bucket").agg(F.min("node").alias("y"))
+    near = seen.filter("label <> common").select("bucket", F.col("node").alias("x")).join(first, "bucket")
     return near.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
 
 
-def pairs_of_light(seen: DataFrame, similarity: float) -> DataFrame:
-    """Pairs (a, b) of a small bucket of different classes, one of them not the bucket's common class, that lengths and bins allow."""
+def pairs_of_light(seen: DataFrame) -> DataFrame:
+    """Pairs (a, b) of a small bucket of different classes, one of them not the bucket's common class."""
     light = seen.filter(F.col("size") <= LIGHT)
-    one = light.filter("label <> common").select("bucket", *_side("x"))
-    two = light.select(F.col("bucket").alias("_b"), F.col("common").alias("common_y"), *_side("y"))
+    one = light.filter("label <> common").select("bucket", F.col("node").alias("x"), F.col("label").alias("label_x"))
+    two = light.select(F.col("bucket").alias("_b"), F.col("node").alias("y"), F.col("label").alias("label_y"), F.col("common").alias("common_y"))
     # Two nodes that both are of other classes than the common one meet once.
     once = (F.col("label_y") == F.col("common_y")) | (F.col("x") < F.col("y"))
-    may = (F.col("label_x") != F.col("label_y")) & once & may_link("x", "y", similarity)
-    near = one.join(two, (F.col("bucket") == F.col("_b")) & may)
+    near = one.join(two, (F.col("bucket") == F.col("_b")) & (F.col("label_x") != F.col("label_y")) & once)
     return near.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
 
 
 def links_of_heavy(seen: DataFrame, texts: DataFrame, similarity: float) -> DataFrame:
     """Links (a, b) between the classes of each large bucket: enough of them to join what any link of it joins."""
-    heavy = seen.filter(F.col("size") > LIGHT).select("bucket", "node", "label", "common")
-    rows = heavy.join(heavy.groupBy("node").agg(F.array_sort(F.collect_list("bucket")).alias("heavy")), "node").join(texts, "node")
-    rows = written(rows.withColumn("n_bytes", F.octet_length("text").cast("long")), "near-heavy")
+    heavy = seen.filter(F.col("size") > LIGHT)
+    nodes = heavy.groupBy("node").agg(F.any_value("label").alias("label"), F.array_sort(F.collect_list("bucket")).alias("heavy")).join(texts, "node")
+    rows = written(nodes.withColumn("n_bytes", F.octet_length("text").cast("long")), "near-heavy").withColumn("bucket", F.explode("heavy"))
     blocks = F.greatest(F.ceil(F.count(F.lit(1)) / BLOCK_NODES), F.ceil(F.sum("n_bytes") / BLOCK_BYTES)).cast("int")
-    rows = rows.join(rows.groupBy("bucket").agg(blocks.alias("blocks")), "bucket")
+    sizes = rows.groupBy("bucket").agg(blocks.alias("blocks")).join(heavy.groupBy("bucket").agg(F.any_value("common").alias("common")), "bucket")
+    rows = rows.join(sizes, "bucket")
     rows = rows.withColumn("own", F.pmod(F.xxhash64("node"), "blocks").cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     rows = rows.withColumn("i", F.least("own", "other")).withColumn("j", F.greatest("own", "other"))
 
@@ -413,7 +411,11 @@ def linked_nodes(bucket: int, common: int, left: np.ndarray, right: np.ndarray,
         hashes = np.fromiter(map(known.__getitem__, w), np.uint64, len(w))
         bins[at] = np.minimum(np.bincount((hashes % np.uint64(BLOCK_BINS)).astype(np.int64), minlength=BLOCK_BINS), 32767)
     stopped = bins.max(axis=1, initial=0) == 32767
-    buckets = [frozenset(h) for h in heavy]
+    # Which earlier buckets each node is in: a pair is left to the first bucket that both share.
+    earlier = {b: k for k, b in enumerate(sorted({b for h in heavy for b in h if b < bucket}))}
+    inside = np.zeros((len(words), max(len(earlier), 1)), np.float32)
+    for at, h in enumerate(heavy):
+        inside[at, [earlier[b] for b in h if b < bucket]] = 1
     root: dict = {}
 
     def class_of(label: int) -> int:
@@ -426,12 +428,13 @@ def linked_nodes(bucket: int, common: int, left: np.ndarray, right: np.ndarray,
     same = bool(np.array_equal(left, right))
     for these, those in ((left, right),) if same else ((left, right), (right, left)):
         others = np.flatnonzero(those)
-        theirs, their_bins, their_sizes, their_stop = labels[others], bins[others], sizes[others], stopped[others]
+        theirs, their_bins, their_sizes, their_stop, their_inside = labels[others], bins[others], sizes[others], stopped[others], inside[others]
         for x in np.flatnonzero(these & (labels != common)):
             limit = np.floor((1 - similarity) * np.maximum(their_sizes, sizes[x]) + 1e-9).astype(np.int64)
             longer = np.abs(their_sizes - sizes[x])
             # Two nodes that both are of other classes than the common one meet once.
-            may = np.flatnonzero((theirs != labels[x]) & (longer <= limit) & ((theirs == common) | (nodes[others] > nodes[x])) & ((their_sizes > 0) == (sizes[x] > 0)))
+            may = (theirs != labels[x]) & (longer <= limit) & ((theirs == common) | (nodes[others] > nodes[x])) & ((their_sizes > 0) == (sizes[x] > 0))
+            may = np.flatnonzero(may & (their_inside @ inside[x] == 0))
             if not len(may):
                 continue
             apart = np.abs(their_bins[may] - bins[x]).sum(axis=1, dtype=np.int64)
@@ -440,7 +443,7 @@ def linked_nodes(bucket: int, common: int, left: np.ndarray, right: np.ndarray,
             may, apart = may[near], apart[near]
             for y in may[np.argsort(apart, kind="stable")]:
                 at = others[y]
-                if class_of(int(labels[x])) == class_of(int(labels[at])) or min(buckets[x] & buckets[at]) != bucket:
+                if class_of(int(labels[x])) == class_of(int(labels[at])):
                     continue
                 if edit_distance(words[x], words[at], int(limit[y])) <= limit[y]:
                     root[class_of(int(labels[x]))] = class_of(int(labels[at]))
