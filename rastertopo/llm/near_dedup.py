@@ -50,7 +50,7 @@ BLOCK = 1 << 13
 #: Buckets of more nodes of several classes are compared in blocks.
 LIGHT = 16
 #: The most nodes and the bytes of text of a block (one longer text is a block of its own).
-BLOCK_NODES, BLOCK_BYTES, BLOCK_BINS = 1024, 4 << 20, 512
+BLOCK_NODES, BLOCK_BYTES, BLOCK_BINS = 2048, 4 << 20, 512
 SHORT_SALT = np.int64(0x2545F4914F6CDD1D)
 
 
