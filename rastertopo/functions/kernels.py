@@ -74,7 +74,8 @@ def lower_envelope(gaps: np.ndarray, work: Work | None = None) -> np.ndarray:
     sites = np.nonzero(gaps < FAR)[0].tolist()
     if not sites:
         return np.full(m, FAR)
-    squares = (np.minimum(gaps, 1 << 19) ** 2).tolist()
+    # A gap below FAR is a number of rows, whose square fits 64 bits up to 2**31 rows.
+    squares = [g * g if g < FAR else 0 for g in gaps.tolist()]
     stack, starts, operations = [], [], 0
     for u in sites:
         start = 0
@@ -95,7 +96,7 @@ def lower_envelope(gaps: np.ndarray, work: Work | None = None) -> np.ndarray:
     if work:
         work.envelope += operations
     owner = np.repeat(stack, np.diff([*starts, m]))
-    return (np.arange(m) - owner) ** 2 + np.array(squares)[owner]
+    return (np.arange(m) - owner) ** 2 + np.array(squares, np.int64)[owner]
 
 
 def distance(features: np.ndarray, work: Work | None = None) -> np.ndarray:

@@ -80,6 +80,97 @@ def cache_misses(trace: DataFrame, size: int, ways: int, block: int) -> DataFram
     return counts.groupBy("kind").agg(F.sum("accesses").alias("accesses"), F.sum("misses").alias("misses"))
 
 
+def private_misses(trace: DataFrame, geometries: tuple) -> DataFrame:
+    """Misses of each processor's own cache: size, ways, block, proc_id, kind, accesses, misses.
+
+    Sets of a processor's cache don't affect each other, so each is replayed in a group of its own."""
+    def misses(size: int, ways: int, block: int) -> DataFrame:
+        line = F.floor(F.col("address") / block).cast("long")
+        rows = trace.select("proc_id", "seq", "kind", line.alias("line"), F.pmod(line, F.lit(size // (ways * block))).alias("set"))
+
+        def replay(table):
+            from collections import Counter, OrderedDict
+
+            import pyarrow as pa
+
+            table = table.sort_by("seq")
+            held, seen, missed = OrderedDict(), Counter(), Counter()
+            for at, kind in zip(table.column("line").to_pylist(), table.column("kind").to_pylist()):
+                seen[kind] += 1
+                missed[kind] += at not in held
+                held[at] = None
+                held.move_to_end(at)
+                if len(held) > ways:
+                    held.popitem(last=False)
+            kinds, proc = sorted(seen), table.column("proc_id")[0].as_py()
+            return pa.table({"proc_id": pa.array([proc] * len(kinds), pa.int32()), "kind": pa.array(kinds, pa.string()), "accesses": pa.array([seen[k] for k in kinds], pa.int64()), "misses": pa.array([missed[k] for k in kinds], pa.int64())})
+
+        counts = rows.groupBy("proc_id", "set").applyInArrow(replay, "proc_id int, kind string, accesses long, misses long")
+        sums = counts.groupBy("proc_id", "kind").agg(F.sum("accesses").alias("accesses"), F.sum("misses").alias("misses"))
+        return sums.select(F.lit(size).alias("size"), F.lit(ways).alias("ways"), F.lit(block).alias("block"), "proc_id", "kind", "accesses", "misses")
+
+    out = misses(*geometries[0])
+    for g in geometries[1:]:
+        out = out.unionByName(misses(*g))
+    return out
+
+
+def work_by_zone(zoned: DataFrame) -> DataFrame:
+    """zone, work, of_mean_pm: the work of rows (zone, work) by zone, and its ratio to the mean, per mille."""
+    sums = zoned.groupBy("zone").agg(F.sum("work").cast("long").alias("work"))
+    whole = sums.agg(F.sum("work").alias("_all"), F.count(F.lit(1)).alias("_n"))
+    return sums.join(F.broadcast(whole)).select("zone", "work", F.expr("work * 1000 * _n div _all").alias("of_mean_pm"))
+
+
+def barrier_wait(schedule: DataFrame) -> DataFrame:
+    """wait, wait_pm: what processors (proc_id, cost) wait in all at a barrier for the last, and its share, per mille."""
+    load = schedule.groupBy("proc_id").agg(F.sum("cost").cast("long").alias("cost"))
+    a = load.agg(F.max("cost").alias("m"), F.sum("cost").alias("t"), F.count(F.lit(1)).alias("n"))
+    return a.select(F.expr("m * n - t").alias("wait"), F.expr("(m * n - t) * 1000 div (m * n)").alias("wait_pm"))
+
+
+def efficiency_curve(runs: DataFrame) -> DataFrame:
+    """variant, threads, value_pm, dip: efficiency by threads, and where an odd number of threads falls below the next."""
+    curve = efficiency(runs).select("variant", "threads", F.floor(F.col("efficiency") * 1000).cast("long").alias("value_pm"))
+    after = F.lead("value_pm").over(Window.partitionBy("variant").orderBy("threads"))
+    odd = (F.col("threads") % 2 == 1) & (F.col("threads") > 1)
+    return curve.withColumn("_after", after).select("variant", "threads", "value_pm", (odd & (F.col("value_pm") < F.col("_after"))).alias("dip"))
+
+
+def scaling(sizes: DataFrame) -> DataFrame:
+    """exponent, r2 of work against size (n, work): the slope of their logarithms."""
+    logs = sizes.select(F.log(F.col("n").cast("double")).alias("x"), F.log(F.col("work").cast("double")).alias("y"))
+    return logs.agg(F.regr_slope("y", "x").alias("exponent"), F.regr_r2("y", "x").alias("r2"))
+
+
+def queue_highwater(px: DataFrame) -> DataFrame:
+    """image_id, high, blocks: the most cells in the queue of a propagation, and the blocks of a hundredth of the image that hold them."""
+    from ..functions import kernels as K
+    from .blocks import per_image, raster
+
+    def task(table):
+        import pyarrow as pa
+
+        image, _, _, a = raster(table, 0, {"f": ("obj", bool, False)})
+        work = K.Work()
+        K.propagated_distance(a["f"], 4, work=work)
+        block = max(1, a["f"].size // 100)
+        return pa.table({"image_id": pa.array([image], pa.int64()), "high": pa.array([work.queue_high], pa.int64()), "blocks": pa.array([-(-work.queue_high // block)], pa.int64())})
+
+    return per_image(px, task, "image_id long, high long, blocks long")
+
+
+def intensity(counters: DataFrame) -> DataFrame:
+    """Adds per_access_pm: computations per memory access, per mille, of rows with ``computed`` and ``accessed``."""
+    return counters.withColumn("per_access_pm", F.expr("computed * 1000 div accessed"))
+
+
+def sampled(rows: DataFrame, share: float) -> DataFrame:
+    """The cells (row, col, ...) whose place hashes into the share: the same ones on every run, layout and engine."""
+    place = F.md5(F.concat_ws(":", F.col("row").cast("string"), F.col("col").cast("string")))
+    return rows.filter(F.conv(F.substring(place, 1, 6), 16, 10).cast("long") < int(share * (1 << 24)))
+
+
 def cache_sweep(trace: DataFrame, geometries: list[tuple[int, int, int]]) -> DataFrame:
     """Misses by geometry (size, ways, block)."""
     out = None
@@ -98,7 +189,7 @@ def band_trace(pt: DataFrame, schedule: DataFrame, zone_rows: int, width: int) -
     touch = F.explode(F.array(*[F.struct(F.lit(k).alias("k"), F.lit(d).alias("d"), F.lit(kind).alias("kind")) for k, (d, kind) in enumerate(((-1, "read"), (0, "read"), (1, "read"), (0, "write")))]))
     at = at.withColumn("_t", touch)
     seq = F.col("turn") * 4096 + F.col("proc_id") * 8 + F.col("_t.k")
-    return at.select(seq.cast("long").alias("seq"), (((F.col("row") + 1 + F.col("_t.d")) * width + F.col("col")) * 4).cast("long").alias("address"), F.col("_t.kind").alias("kind"))
+    return at.select("proc_id", seq.cast("long").alias("seq"), (((F.col("row") + 1 + F.col("_t.d")) * width + F.col("col")) * 4).cast("long").alias("address"), F.col("_t.kind").alias("kind"))
 
 
 def topology_check(before: DataFrame, after: DataFrame) -> DataFrame:

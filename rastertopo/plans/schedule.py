@@ -60,6 +60,17 @@ def symmetric(tasks: DataFrame, processors: int) -> DataFrame:
     return numbered(tasks, "task_id").withColumn("proc_id", block).select("task_id", "cost", "proc_id", (k - first).cast("long").alias("wave"))
 
 
+def clocked(tasks: DataFrame, processors: int, ticks: int) -> DataFrame:
+    """Clock-driven: the processors take turns by slices of ``ticks`` tasks, whatever their cost."""
+    return numbered(tasks, "task_id").select("task_id", "cost", F.pmod(F.floor(F.col("k") / ticks), F.lit(processors)).cast("int").alias("proc_id"))
+
+
+def staircase(tasks: DataFrame, processors: int) -> DataFrame:
+    """A rotating staircase: waves go through the processors forth and back, so no processor is always first."""
+    at, back = F.pmod("k", F.lit(processors)), F.pmod(F.floor(F.col("k") / processors), F.lit(2)) == 1
+    return numbered(tasks, "task_id").select("task_id", "cost", F.when(back, processors - 1 - at).otherwise(at).cast("int").alias("proc_id"))
+
+
 def by_priority(tasks: DataFrame, processors: int) -> DataFrame:
     """Waves by falling priority, ties by task: a higher priority goes first within its class."""
     order = Window.partitionBy("priority").orderBy("task_id")
