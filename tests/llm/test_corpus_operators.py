@@ -325,7 +325,7 @@ def test_order_matters_and_occurrences_count():
 
 @pytest.mark.parametrize("share", [0.08, 0.1, 0.15, 0.2])
 def test_links_are_candidates(share):
-    """Texts with scattered edits up to the threshold share a sketch."""
+    """Texts with scattered edits up to the threshold share a bucket."""
     rng = random.Random(8)
     m = near_dedup._multipliers(near_dedup.SKETCHES, 11)
     met = []
@@ -334,11 +334,41 @@ def test_links_are_candidates(share):
         b = list(a)
         for i in rng.sample(range(len(a)), near_dedup.limit_of(len(a), 1 - share)):
             b[i] = rng.getrandbits(62)
-        x, y = (near_dedup.order_minhash(near_dedup.labelled_shingles(np.array(t, np.uint64)), m) for t in (a, b))
-        met.append(bool((x == y).any()))
+        x, y = (near_dedup.text_buckets(np.array(t, np.uint64), m) for t in (a, b))
+        met.append(bool(len(np.intersect1d(x, y))))
     assert np.mean(met) >= 0.95
 
 
+def test_blocks_join_what_all_pairs_join():
+    """Two blocks of a large bucket give links that join the same texts as all links do."""
+    rng = random.Random(5)
+    passage = [f"p{i}" for i in range(40)]
+    texts = [" ".join(passage + [f"w{rng.randrange(12)}" for _ in range(rng.randint(2, 14))]) for _ in range(60)]
+    words = [t.split() for t in texts]
+    nodes, own = np.arange(60) * 7, np.array([i % 2 for i in range(60)])
+    labels = nodes.copy()
+    labels[:10] = 0
+
+    def classes(links):
+        root = {int(n): int(c) for n, c in zip(nodes, labels)}
+        for a, b in links:
+            x, y = root[a], root[b]
+            root = {n: (x if c == y else c) for n, c in root.items()}
+        return {frozenset(n for n in root if root[n] == c) for c in root.values()}
+
+    every = []
+    for i in range(60):
+        for j in range(i):
+            limit = near_dedup.limit_of(max(len(words[i]), len(words[j])), 0.8)
+            if near_dedup.edit_distance(words[i], words[j], limit) <= limit:
+                every.append((int(nodes[j]), int(nodes[i])))
+    found = []
+    for i, j in ((0, 0), (0, 1), (1, 1)):
+        at = np.flatnonzero((own == i) | (own == j))
+        found += near_dedup.linked_nodes(1, 0, own[at] == i, own[at] == j, nodes[at], labels[at], [[1]] * len(at), [texts[k] for k in at], 0.8)
+    assert classes(found) == classes(every) and 1 < len(classes(every)) < 51 and len(found) < len(every)
+
+
 def test_links_of_short_texts_share_a_key():
     rng = random.Random(9)
     for _ in range(3000):
