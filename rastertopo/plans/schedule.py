@@ -126,13 +126,15 @@ def bound(schedule: DataFrame, processors: int) -> DataFrame:
     return loads(schedule).crossJoin(F.broadcast(total)).select("proc_id", "n", limit.alias("limit"), (F.col("n") <= limit).alias("within"))
 
 
-def merge_plan(workers: DataFrame) -> DataFrame:
+def merge_plan(workers: DataFrame, rounds: int | None = None) -> DataFrame:
     """round, child, p1, p2: workers (worker_id, finish) pair up as they finish; a child goes on with the later one's time
-    and is named by its place in its round; of an odd number the last goes on alone (p2 null). One row a worker: small."""
+    and is named by its place in its round; of an odd number the last goes on alone (p2 null). One row a worker: small.
+    It goes on until one is left, or for just so many ``rounds``, in which one that is left goes on alone."""
     order = Window.orderBy("finish", "node")
     level = workers.select(F.col("worker_id").cast("long").alias("node"), F.col("finish").cast("long").alias("finish"))
-    n, done, number = workers.count(), None, 0
-    while n > 1:
+    n, number = workers.count(), 0
+    done = level.select(F.lit(0).cast("long").alias("round"), F.col("node").alias("child"), F.col("node").alias("p1"), F.col("node").alias("p2")).limit(0) if n <= 1 and not rounds else None
+    while n > 1 if rounds is None else number < rounds:
         number += 1
         placed = level.withColumn("k", F.row_number().over(order) - 1)
         pairs = placed.groupBy(F.floor(F.col("k") / 2).alias("child")).agg(F.min(F.struct("k", "node")).alias("a"), F.max(F.struct("k", "node")).alias("b"), F.max("finish").alias("finish"))

@@ -150,6 +150,14 @@ def test_merge_of_four_workers(spark):
     assert rows == [(1, 0, 1, 3), (1, 1, 2, 4), (2, 0, 0, 1)]
 
 
+def test_merge_of_nine_workers_in_three_rounds(spark):
+    workers = spark.createDataFrame([(w, 10 * w + 1) for w in range(9)], "worker_id long, finish long")
+    rows = sorted(S.merge_plan(workers, 3).collect(), key=lambda r: (r["round"], r.child))
+    assert [tuple(r) for r in rows if r.p2 is None] == [(1, 4, 8, None), (2, 2, 4, None), (3, 1, 2, None)]
+    assert [r["round"] for r in rows] == [1] * 5 + [2] * 3 + [3] * 2
+    assert S.merge_plan(workers.limit(1)).isEmpty() and S.merge_plan(workers.limit(1), 3).count() == 3
+
+
 def test_queues_have_two_users_at_most():
     ledger = S.QueueLedger()
     assert [ledger.queue_for(w) for w in (1, 3, 2, 4)] == [0, 0, 1, 1]
