@@ -67,6 +67,21 @@ def finish_merge(finished: DataFrame) -> DataFrame:
     return finished.groupBy("image_id").applyInPandasWithState(update, MERGE_OUT, MERGE_STATE, "append", GroupStateTimeout.NoTimeout)
 
 
+def left_alone(pairs: DataFrame, workers: DataFrame) -> DataFrame:
+    """What the pairs of ``finish_merge`` lack once all workers (image_id, worker_id) are known: of an odd number the one that
+    no other met goes on alone (p2 null) as the last child of round 1, and pairs with those that wait in later rounds."""
+    first = pairs.filter("round = 1")
+    met = first.select("image_id", F.explode(F.array("p1", "p2")).alias("worker_id"))
+    alone = workers.select("image_id", "worker_id").join(met, ["image_id", "worker_id"], "left_anti")
+    made = first.groupBy("image_id").agg(F.count(F.lit(1)).alias("n"))
+    last = alone.join(made, "image_id", "left").select("image_id", F.col("worker_id").cast("long").alias("node"), F.coalesce("n", F.lit(0).cast("long")).alias("n"))
+    # In round k + 2 the child n >> k meets the one before it as long as the last bits of n are set.
+    later = F.expr("filter(sequence(0, 60), k -> pmod(n + 1, shiftleft(2L, k)) = 0)")
+    own = last.select("image_id", F.lit(1).alias("round"), F.col("n").cast("int").alias("child"), F.col("node").alias("p1"), F.lit(None).cast("long").alias("p2"))
+    met_later = last.select("image_id", "n", F.explode(later).alias("k")).withColumn("p2", F.expr("shiftright(n, k)"))
+    return own.unionByName(met_later.select("image_id", (F.col("k") + 2).cast("int").alias("round"), F.expr("shiftright(p2, 1)").cast("int").alias("child"), (F.col("p2") - 1).alias("p1"), "p2"))
+
+
 def late_cells(events: DataFrame) -> DataFrame:
     """Cells a day of a stream with a watermark on ts, in append mode: a day's image comes when the watermark has passed it, and later events are dropped."""
     day = F.window("ts", "1 day").alias("w")

@@ -103,6 +103,14 @@ def test_merge_by_finish(spark, tmp_path):
     assert [tuple(r) for r in got] == [(0, 1, 0, 2, 4), (0, 1, 1, 3, 1), (0, 2, 0, 0, 1)]
 
 
+def test_a_worker_that_no_other_met_goes_on_alone(spark):
+    schema = "image_id long, round int, child int, p1 long, p2 long"
+    pairs = spark.createDataFrame([(0, 1, 0, 1, 2), (0, 1, 1, 3, 4), (0, 1, 2, 5, 6), (0, 2, 0, 0, 1), (1, 1, 0, 1, 2), (1, 1, 1, 3, 4), (1, 2, 0, 0, 1)], schema)
+    workers = spark.createDataFrame([(i, w) for i, n in ((0, 7), (1, 5), (2, 1)) for w in range(1, n + 1)], "image_id long, worker_id long")
+    got = stateful.left_alone(pairs, workers).orderBy("image_id", "round").collect()
+    assert [tuple(r) for r in got] == [(0, 1, 3, 7, None), (0, 2, 1, 2, 3), (0, 3, 0, 0, 1), (1, 1, 2, 5, None), (2, 1, 0, 1, None)]
+
+
 def test_sample_is_the_same_everywhere(spark):
     cells = spark.range(2000).select((F.col("id") % 50).cast("int").alias("row"), (F.col("id") / 50).cast("int").alias("col"))
     a, b = M.sampled(cells, 0.2), M.sampled(cells.repartition(7), 0.2)
