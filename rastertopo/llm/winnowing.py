@@ -55,6 +55,39 @@ def _let(value: Column, body) -> Column:
     return F.get(F.transform(F.array(value), body), F.lit(0))
 
 
+def _hash(entry: Column) -> Column:
+    return F.shiftright(entry, POSITION_BITS)
+
+
+def _position(entry: Column) -> Column:
+    return F.lit(POSITION_MASK) - entry.bitwiseAND(F.lit(POSITION_MASK))
+
+
+def leading(entries: Column, n: Column, k: int = GRAM, w: int = WINDOW) -> Column:
+    """The entries of a text's first ``n`` characters, k + w - 1 or more, out of those of the whole text.
+
+    An entry is chosen from the window that ends with its gram, or, where the entry before is less, from the window that
+    starts after that one; so it needs no more than one look back to tell if a whole window of the part chose it."""
+    last = n - (k + w - 1)
+
+    def inside(e, i):
+        before = F.get(entries, i - 1)
+        return (_position(e) <= last) | ((_position(e) <= n - k) & ((i == 0) | (_hash(e) <= _hash(before)) | (_position(before) < last)))
+
+    return F.filter(entries, inside)
+
+
+def spliced(text: Column, entries: Column, kept: Column, other: Column, other_entries: Column, taken: Column, k: int = GRAM, w: int = WINDOW) -> Column:
+    """The entries of the first ``kept`` characters of a text followed by the first ``taken`` of another, of which the
+    entries are known: only the windows over the seam are hashed. Short parts, and positions that stop, take the plain way."""
+    side = k + w - 2
+    seam = chosen(F.concat(F.substr(text, kept - side + 1, F.lit(side)), F.substr(other, F.lit(1), F.lit(side))), k, w)
+    moved = lambda found, by: F.transform(found, lambda e: e - by)
+    parts = F.concat(leading(entries, kept, k, w), moved(seam, (kept - side).cast("long")), moved(leading(other_entries, taken, k, w), kept.cast("long")))
+    plain = chosen(F.concat(F.substr(text, F.lit(1), kept), F.substr(other, F.lit(1), taken)), k, w)
+    return F.when((kept > side) & (taken > side) & (kept + taken < POSITION_MASK), F.array_distinct(parts)).otherwise(plain)
+
+
 def hashes_of(entries: Column) -> Column:
     return F.array_distinct(F.transform(entries, lambda x: F.shiftright(x, POSITION_BITS)))
 
@@ -117,8 +150,10 @@ def edited_fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     rows = rows.withColumn("_key", F.coalesce("doc_id", F.lit(LEAST)))
     near = with_next(rows, "_key", ["text"], {"entries": chosen(F.col("text"), k, w)})
     near = near.withColumn("n_chars", F.length("text").cast("long")).withColumn("_cut", F.floor(F.col("n_chars") / 2).cast("int"))
-    kept = F.substr(F.col("text"), F.lit(1), (F.col("n_chars") - F.col("_cut")).cast("int"))
-    near = near.withColumn("edited", F.concat(kept, F.substr(F.col("next_text"), F.lit(1), F.col("_cut")))).withColumn("edited_entries", chosen(F.col("edited"), k, w))
+    near = near.withColumn("_kept", (F.col("n_chars") - F.col("_cut")).cast("int")).withColumn("_taken", F.least("_cut", F.length("next_text")))
+    edited = F.concat(F.substr(F.col("text"), F.lit(1), F.col("_kept")), F.substr(F.col("next_text"), F.lit(1), F.col("_taken")))
+    edited_entries = spliced(F.col("text"), F.col("entries"), F.col("_kept"), F.col("next_text"), F.col("next_entries"), F.col("_taken"), k, w)
+    near = near.withColumn("edited", edited).withColumn("edited_entries", edited_entries)
     near = near.withColumn("own", hashes_of(F.col("entries")))
     return near.select(
         "doc_id",

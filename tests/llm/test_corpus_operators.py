@@ -626,3 +626,15 @@ def test_repeated_passages_go_whole(spark, digest_bytes):
     for r, (_, text) in zip(got, rows):
         gone = [i for s in r.removed or [] for i in range(s["first"], s["after"])]
         assert len(gone) == len(set(gone)) and all(i < len(text.split("\n")) for i in gone)
+
+
+def test_spliced_entries_are_those_of_the_whole_text(spark):
+    rng = random.Random(3)
+    rows = []
+    for i in range(300):
+        a, b = ("".join(rng.choice("ab c" if i % 2 else "abcdefgh é😀") for _ in range(rng.choice((0, 5, 14, 15, 16, 29, 31, 80, 200)))) for _ in "ab")
+        rows.append((i, a, b, len(a) - len(a) // 2, min(len(a) // 2, len(b))))
+    df = spark.createDataFrame(rows, "doc_id long, a string, b string, kept int, taken int").withColumn("ea", winnowing.chosen(F.col("a"))).withColumn("eb", winnowing.chosen(F.col("b")))
+    got = winnowing.spliced(F.col("a"), F.col("ea"), F.col("kept"), F.col("b"), F.col("eb"), F.col("taken"))
+    whole = winnowing.chosen(F.concat(F.expr("substr(a, 1, kept)"), F.expr("substr(b, 1, taken)")))
+    assert df.filter(~got.eqNullSafe(whole)).isEmpty() and not df.filter("kept > 14 AND taken > 14").isEmpty()
