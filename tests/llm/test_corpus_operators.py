@@ -638,3 +638,39 @@ def test_spliced_entries_are_those_of_the_whole_text(spark):
     got = winnowing.spliced(F.col("a"), F.col("ea"), F.col("kept"), F.col("b"), F.col("eb"), F.col("taken"))
     whole = winnowing.chosen(F.concat(F.expr("substr(a, 1, kept)"), F.expr("substr(b, 1, taken)")))
     assert df.filter(~got.eqNullSafe(whole)).isEmpty() and not df.filter("kept > 14 AND taken > 14").isEmpty()
+
+
+def test_block_of_texts_takes_a_number_a_word():
+    import tracemalloc
+
+    texts = [" ".join(f"long{i}word{k}" for k in range(40)) * 50 for i in range(40)]
+    n = len(texts)
+    tracemalloc.start()
+    both = np.ones(n, bool)
+    near_dedup.linked_nodes(1, -1, both, both, np.arange(n), np.arange(n), [[1]] * n, texts, 0.8)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    # A string for each word took some 60 bytes.
+    assert peak < 30 * sum(len(t.split()) for t in texts)
+
+
+def test_nodes_meet_in_tasks_of_two_blocks_copied_once_less(spark):
+    rows = spark.createDataFrame([(o, b) for b in range(1, 6) for o in range(b)], "own int, blocks int")
+    tasks = {}
+    for r in rows.select("own", "blocks", near_dedup.met_by("own", "blocks").alias("others")).collect():
+        assert len(r.others) == max(r.blocks - 1, 1)
+        for o in r.others:
+            tasks.setdefault((r.blocks, min(r.own, o), max(r.own, o)), set()).add(r.own)
+    for b in range(1, 6):
+        met = [(i, j) for n, i, j in tasks if n == b]
+        assert sorted(met) == ([(0, 0)] if b == 1 else [(i, j) for i in range(b) for j in range(i + 1, b)])
+        alone = sorted(k for i, j in met for k, other in ((i, j), (j, i)) if i != j and (k + 1) % b == other)
+        assert b == 1 or alone == list(range(b))
+
+
+def test_two_blocks_meet_within_one_task():
+    texts = [" ".join(f"a{k}b{w}" for w in range(20)) for k in (1, 2)] * 2
+    texts = [t + f" end{i}" for i, t in enumerate(texts)]
+    left = np.array([True, False, True, False])
+    found = near_dedup.linked_nodes(1, -1, left, ~left, np.arange(4), np.arange(4), [[1]] * 4, texts, 0.8, [left, ~left])
+    assert sorted(found) == [(0, 2), (1, 3)]
