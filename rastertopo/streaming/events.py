@@ -2,13 +2,10 @@
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators import homotopic as H
-from ..plans.lineage import folder
 
 
 def stream(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -60,9 +57,7 @@ def smooth_batches(pixels: DataFrame, radius: int, sink: str, checkpoint: str):
 
 
 def replay(spark: SparkSession, sf_dir: str, operator, columns: list[str]) -> DataFrame:
-    """Runs a streaming operator over all events there are and returns its final rows (complete output to memory)."""
-    name = f"replay_{uuid.uuid4().hex}"
-    base = folder(spark)
-    out = operator(stream(spark, sf_dir)).writeStream.outputMode("complete").format("memory").queryName(name)
-    out.option("checkpointLocation", f"{base}/{name}").trigger(availableNow=True).start().awaitTermination()
-    return spark.table(name).select(*columns)
+    """Runs a streaming operator over all events there are and returns its final rows (complete output to the shared folder)."""
+    from .stateful import rows_of
+
+    return rows_of(spark, operator(stream(spark, sf_dir)), "complete").select(*columns)

@@ -97,11 +97,13 @@ def controlled(events: DataFrame, control: DataFrame) -> DataFrame:
 
 
 def rows_of(spark: SparkSession, streamed: DataFrame, mode: str) -> DataFrame:
-    """Runs a stream over all there is and returns the rows that it gave, from a table in the shared folder."""
+    """Runs a stream over all there is and returns the rows that it gave, from a table in the shared folder.
+
+    In complete mode each batch gives all rows anew, so only the last one's stay."""
     base = f"{folder(spark)}/stream-{uuid.uuid4().hex}"
 
     def write(batch: DataFrame, number: int) -> None:
-        batch.write.mode("overwrite").parquet(f"{base}/rows/batch={number}")
+        batch.write.mode("overwrite").parquet(f"{base}/rows/batch={0 if mode == 'complete' else number}")
 
     streamed.writeStream.outputMode(mode).foreachBatch(write).option("checkpointLocation", f"{base}/log").trigger(availableNow=True).start().awaitTermination()
     return spark.read.schema(streamed.schema).parquet(f"{base}/rows/batch=*")

@@ -115,3 +115,11 @@ def test_sample_is_the_same_everywhere(spark):
     cells = spark.range(2000).select((F.col("id") % 50).cast("int").alias("row"), (F.col("id") / 50).cast("int").alias("col"))
     a, b = M.sampled(cells, 0.2), M.sampled(cells.repartition(7), 0.2)
     assert a.exceptAll(b).isEmpty() and b.exceptAll(a).isEmpty() and 300 < a.count() < 500
+
+
+def test_complete_output_stays_off_the_driver_and_once(spark, tmp_path):
+    rows = spark.range(40).selectExpr("id % 3 AS k")
+    rows.repartition(4).write.parquet(str(tmp_path / "in"))
+    streamed = spark.readStream.schema(rows.schema).option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in")).groupBy("k").count()
+    got = stateful.rows_of(spark, streamed, "complete")
+    assert sorted(map(tuple, got.collect())) == [(0, 14), (1, 13), (2, 13)] and got.inputFiles()
