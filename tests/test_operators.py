@@ -186,3 +186,29 @@ def test_thresholded_distance_is_the_ball(spark, px):
     a = {x for x in cells(P.dilate_scatter(L.sparsify(inside), 2))}
     b = set(cells(P.dilate(inside.select("image_id", "row", "col", "obj").unionByName(px.join(inside, ["image_id", "row", "col"], "left_anti").select("image_id", "row", "col", F.lit(False).alias("obj"))), 2)))
     assert b <= a
+
+
+def test_warped_points_are_those_of_the_join(spark, px):
+    from rastertopo.operators import layout as L
+
+    for matrix, divisor, offset in (((2, 1, -1, 2), 6, (-9, 9)), ((1, 0, 0, -1), 2, (3, 11)), ((3, 1, 1, 2), 4, (0, -5))):
+        target = px.select("image_id").distinct().selectExpr("image_id", "-2 AS row0", "0 AS col0", "30 AS n_rows", "25 AS n_cols")
+        a = L.sparsify(L.warp(px, matrix, divisor, target, offset))
+        b = L.warp_points(L.sparsify(px), matrix, divisor, (-2, 0, 30, 25), offset)
+        assert a.exceptAll(b).isEmpty() and b.exceptAll(a).isEmpty() and "Join" not in b._jdf.queryExecution().toString()
+
+
+def test_stacked_images_are_filtered_as_by_themselves():
+    rng = np.random.default_rng(7)
+    images = [rng.random((int(rng.integers(0, 14)), 20)) < p for p in (0.3, 0.5, 0.7, 0.9) * 6]
+    alone = [np.pad(x, 8) for x in images]
+    for conn in ("8/4", "4/8"):
+        assert H.stacked_preserved(images, 2, conn).all()
+        for x in alone:
+            found = K.signatures(x, np.zeros(len(x), int), 1, conn)[0]
+            assert tuple(found + [0, 1]) == K.signature(x, conn)
+
+
+def test_null_and_empty_texts_are_images_too(spark):
+    docs = spark.createDataFrame([("a", "en"), (None, "fr"), ("", "fr"), ("x y\nz" * 90, None)], "text string, lang string")
+    assert sorted(map(str, H.texts_preserved(docs, "text", 1, ["lang"]).collect())) == sorted(f"Row(lang={x!r}, preserved=True)" for x in ("en", "fr", "fr", None))
