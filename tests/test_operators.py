@@ -212,3 +212,10 @@ def test_stacked_images_are_filtered_as_by_themselves():
 def test_null_and_empty_texts_are_images_too(spark):
     docs = spark.createDataFrame([("a", "en"), (None, "fr"), ("", "fr"), ("x y\nz" * 90, None)], "text string, lang string")
     assert sorted(map(str, H.texts_preserved(docs, "text", 1, ["lang"]).collect())) == sorted(f"Row(lang={x!r}, preserved=True)" for x in ("en", "fr", "fr", None))
+
+
+@pytest.mark.parametrize("name", ["ball_offsets"])
+def test_queries_read_a_given_table(spark, name):
+    from rastertopo import catalogue_more  # noqa: F401  registers its queries
+
+    assert catalogue.queries()[name](spark, "/root/testdata/sf0.001").inputFiles()
