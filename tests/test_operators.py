@@ -214,7 +214,7 @@ def test_null_and_empty_texts_are_images_too(spark):
     assert sorted(map(str, H.texts_preserved(docs, "text", 1, ["lang"]).collect())) == sorted(f"Row(lang={x!r}, preserved=True)" for x in ("en", "fr", "fr", None))
 
 
-@pytest.mark.parametrize("name", ["ball_offsets", "speedup_sample", "efficiency_sample", "success_rate_tab3", "efficiency_regions", "empty_and_full_images", "time_share_sample", "efficiency_curve_sample", "recursive_halves"])
+@pytest.mark.parametrize("name", ["ball_offsets", "speedup_sample", "efficiency_sample", "success_rate_tab3", "efficiency_regions", "empty_and_full_images", "time_share_sample", "efficiency_curve_sample", "recursive_halves", "scaling_of_distance"])
 def test_queries_read_a_given_table(spark, name):
     from rastertopo import catalogue_more  # noqa: F401  registers its queries
 
