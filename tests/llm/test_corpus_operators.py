@@ -674,3 +674,83 @@ def test_two_blocks_meet_within_one_task():
     left = np.array([True, False, True, False])
     found = near_dedup.linked_nodes(1, -1, left, ~left, np.arange(4), np.arange(4), [[1]] * 4, texts, 0.8, [left, ~left])
     assert sorted(found) == [(0, 2), (1, 3)]
+
+
+def passage_texts(n, seed):
+    """Texts of a passage and some words of their own, a few of them edited."""
+    rng = random.Random(seed)
+    passage = [f"p{i}" for i in range(30)]
+    texts = [" ".join(passage + [f"w{rng.randrange(40)}" for _ in range(rng.randint(2, 30))]) for _ in range(n)]
+    for _ in range(n // 3):
+        words = rng.choice(texts).split()
+        for _ in range(rng.randint(1, 9)):
+            at = rng.randrange(len(words))
+            words[at : at + rng.randint(0, 1)] = [f"w{rng.randrange(40)}"] * rng.randint(0, 1)
+        texts.append(" ".join(words))
+    return sorted(set(texts))
+
+
+def all_links(texts):
+    words = [t.split() for t in texts]
+    limits = {(i, j): near_dedup.limit_of(max(len(words[i]), len(words[j])), 0.8) for j in range(len(words)) for i in range(j)}
+    return {(i, j) for (i, j), most in limits.items() if near_dedup.edit_distance(words[i], words[j], most) <= most}
+
+
+def test_linked_texts_meet_by_a_rare_word():
+    texts, known = passage_texts(90, 6), near_dedup._Words()
+    hashes = [near_dedup.word_hashes(t.split(), known) for t in texts]
+    words = [near_dedup.labelled_shingles(h, 1) for h in hashes]
+    counts = np.bincount((np.concatenate(words) % np.uint64(256)).astype(np.int64), minlength=256)
+    rare = [near_dedup.rarest(w, counts, 0.8)[0] for w in words]
+    label = np.arange(len(texts)) // 2
+    owner, sizes, bins = np.repeat(np.arange(len(texts)), [len(w) for w in rare]), np.array([len(w) for w in words]), np.stack([near_dedup.in_bins(h) for h in hashes])
+    linked = {(i, j) for i, j in all_links(texts) if label[i] != label[j]}
+    found = np.concatenate(list(near_dedup.rare_pairs(owner, np.concatenate(rare).view(np.int64), label, sizes, bins, 0.8)))
+    found = {(min(x, y), max(x, y)) for x, y in found.tolist()}
+    assert len(linked) > 50 and linked <= found and all(label[i] != label[j] for i, j in found)
+    assert list(near_dedup.rare_pairs(np.zeros(0, np.int64), np.zeros(0, np.int64), label, sizes, bins, 0.8)) == []
+
+
+def test_nodes_of_large_buckets_meet_once_for_all_buckets(spark, monkeypatch):
+    """Rare and frequent words give what brute force gives, in few pairs and with no text for each bucket."""
+    texts = passage_texts(60, 8)
+    heavy = spark.createDataFrame([(i, i, t) for i, t in enumerate(texts)], "node long, label long, text string")
+    root = list(range(len(texts)))
+    linked = all_links(texts)
+    for i, j in linked:
+        root = [root[i] if c == root[j] else c for c in root]
+    for frequent in (1 << 14, 8):
+        monkeypatch.setattr(near_dedup, "FREQUENT", frequent)
+        monkeypatch.setattr(near_dedup, "PART_WORDS", 200)
+        words = near_dedup.rare_words(heavy, 0.8).cache()
+        assert (words.filter("part < 0").count() > 0) == (frequent == 8) and words.filter("part >= 0").select("part").distinct().count() > 2
+        given = [(r.a, r.b) for r in near_dedup.pairs_of_rare(words.filter("part >= 0"), 0.8).collect()]
+        found = set(given)
+        # Also pairs with words of several tasks in common come from one.
+        assert len(found) == len(given)
+        seen = near_dedup.mixed_buckets(words.filter("part < 0").selectExpr("explode(words) AS bucket", "node"), heavy.select("node", "label"))
+        links = {(r.a, r.b) for r in near_dedup.links_of_frequent(seen, heavy.select("node", "text"), 0.8).collect()}
+        assert links <= linked and (frequent == 8 or linked <= found)
+        of = list(range(len(texts)))
+        for i, j in links | (linked & found):
+            of = [of[i] if c == of[j] else c for c in of]
+        assert [of.index(c) for c in of] == [root.index(c) for c in root]
+    # Texts of which a passage is three fifths: the square of their number were compared.
+    own = [" ".join([f"p{k}" for k in range(30)] + [f"t{i}w{k}" for k in range(20)]) for i in range(600)]
+    heavy = spark.createDataFrame([(i, i, t) for i, t in enumerate(own)], "node long, label long, text string")
+    words = near_dedup.rare_words(heavy, 0.8)
+    assert words is None or near_dedup.pairs_of_rare(words, 0.8).count() < 600 and words.count() < 600
+    assert near_dedup.rare_words(heavy.limit(0), 0.8) is None
+
+
+def test_classes_of_large_buckets_match_brute_force(spark, monkeypatch):
+    texts = passage_texts(60, 10)
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    plain = {r.doc_id: r.class_id for r in near_dedup.near_classes(docs).collect()}
+    for frequent in (1 << 14, 8):
+        monkeypatch.setattr(near_dedup, "LIGHT", 2)
+        monkeypatch.setattr(near_dedup, "FREQUENT", frequent)
+        got = {r.doc_id: r.class_id for r in near_dedup.near_classes(docs).collect()}
+        for i, j in all_links(texts):
+            assert got[i] == got[j]
+        assert len(set(got.values())) <= len(set(plain.values()))
