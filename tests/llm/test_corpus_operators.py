@@ -743,6 +743,23 @@ def test_nodes_of_large_buckets_meet_once_for_all_buckets(spark, monkeypatch):
     assert near_dedup.rare_words(heavy.limit(0), 0.8) is None
 
 
+def test_texts_of_a_repeated_sentence_give_few_pairs(spark):
+    """The sentence is three quarters of each text and fills its bins; what else they share is too little for a link."""
+    rng = random.Random(12)
+    texts = [" ".join([f"v{rng.randrange(2000)}" for _ in range(100)] + ["is", "onhe"] * 150) for _ in range(100)]
+    for text in texts[:10]:
+        words = text.split()
+        for at in rng.sample(range(100), 40) + rng.sample(range(100, 400), 10):
+            words[at] = f"v{rng.randrange(2000)}"
+        texts.append(" ".join(words))
+    heavy = spark.createDataFrame([(i, i, t) for i, t in enumerate(texts)], "node long, label long, text string")
+    given = [(r.a, r.b) for r in near_dedup.pairs_of_rare(near_dedup.rare_words(heavy, 0.8), 0.8).collect()]
+    linked = all_links(texts)
+    assert {(i, 100 + i) for i in range(10)} <= linked <= set(given)
+    # All but a few of the 5,995 pairs were given.
+    assert len(given) < 300
+
+
 def test_classes_of_large_buckets_match_brute_force(spark, monkeypatch):
     texts = passage_texts(60, 10)
     docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
