@@ -760,6 +760,32 @@ def test_texts_of_a_repeated_sentence_give_few_pairs(spark):
     assert len(given) < 300
 
 
+def test_little_goes_with_each_rare_word(spark, monkeypatch):
+    """What is known of a node went to each task of its words, and all words of earlier tasks: more for each task there was."""
+    texts = passage_texts(40, 8)
+    heavy = spark.createDataFrame([(i, i, t) for i, t in enumerate(texts)], "node long, label long, text string")
+    monkeypatch.setattr(near_dedup, "PART_WORDS", 50)
+    monkeypatch.setattr(near_dedup, "PART_CHECKED", 20)
+    words = near_dedup.rare_words(heavy, 0.8)
+    rows = words.collect()
+    assert len(rows) > 4 * len(texts)
+    assert sorted(r.node for r in rows if r.about) == sorted({r.node for r in rows})
+    assert all(len(r.brief) == near_dedup.BRIEF_BINS // 2 and len(r.before) <= near_dedup.BEFORE for r in rows)
+    given = [(r.a, r.b) for r in near_dedup.pairs_of_rare(words, 0.8).collect()]
+    assert len(given) > 40 and len(set(given)) == len(given) and all_links(texts) <= set(given)
+
+
+def test_brief_bins_bound_no_closer_than_all():
+    rng = np.random.default_rng(3)
+    hashes = [rng.integers(0, 1 << 63, n, dtype=np.uint64) for n in (0, 1, 40, 300, 3000)] + [np.full(500, 77, np.uint64)]
+    bins = np.stack([near_dedup.in_bins(h) for h in hashes]).astype(np.int64)
+    brief = near_dedup.from_brief(np.frombuffer(b"".join(near_dedup.in_brief(b) for b in bins.astype(np.int8)), np.uint8).reshape(len(bins), -1)).astype(np.int64)
+    for h, got in zip(hashes, brief):
+        counted = np.bincount((h % np.uint64(near_dedup.BRIEF_BINS)).astype(np.int64), minlength=near_dedup.BRIEF_BINS)
+        assert got.tolist() == np.minimum(counted, near_dedup.BRIEF_MOST).tolist()
+    assert all(np.abs(brief[i] - brief[j]).sum() <= np.abs(bins[i] - bins[j]).sum() for i in range(len(bins)) for j in range(i))
+
+
 def test_classes_of_large_buckets_match_brute_force(spark, monkeypatch):
     texts = passage_texts(60, 10)
     docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
